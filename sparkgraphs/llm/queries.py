@@ -2,13 +2,12 @@
 
 from __future__ import annotations
 
-from .bpe_codec import op8_bpe_encode_decode
-from .token_counts import op2_token_counts
+from . import bpe_codec, line_dedup, token_counts, warc
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op2_token_counts, op8_bpe_encode_decode)}
+    return {f.__name__: f for f in (token_counts.op2_token_counts, warc.op4_warc_revisits, line_dedup.op7_line_dedup, bpe_codec.op8_bpe_encode_decode)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op4_warc_revisits": warc.OP4_SQL, "op7_line_dedup": line_dedup.OP7_SQL}
