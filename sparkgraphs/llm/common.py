@@ -56,6 +56,25 @@ def held_out(doc_id: Column) -> Column:
     return F.crc32(doc_id.cast("string")) % 4 == 2
 
 
+def bounded_sample(docs: DataFrame, labelled: DataFrame, label: str, *, rows: int, max_bytes: int) -> tuple[list, list]:
+    """Texts and labels of at most `rows` rows and `max_bytes` of text, for fitting: (doc_id, label) rows in the order of a hash of their id."""
+    spark = docs.sparkSession
+    kind = labelled.schema[label].dataType.simpleString()
+    ids = labelled.select("doc_id", label).orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows).collect()
+    if not ids:
+        return [], []
+    places = spark.createDataFrame([(r[0], r[1], i) for i, r in enumerate(ids)], f"doc_id long, label {kind}, place int")
+    taken = docs.select("doc_id", "text").join(F.broadcast(places), "doc_id")
+    total, last = 0, -1
+    for r in sorted(taken.select("place", F.coalesce(F.octet_length("text"), F.lit(0)).alias("n")).collect()):
+        total += r.n
+        if total > max_bytes:
+            break
+        last = r.place
+    got = taken.where(F.col("place") <= last).select("place", "text", "label").toArrow().sort_by("place")
+    return got["text"].to_pylist(), got["label"].to_pylist()
+
+
 def hot_values(df: DataFrame, column: str, share: int = 1000) -> DataFrame:
     """Values that hold more than 1/share of the rows: at most `share` of them whatever the size of the input."""
     counts = df.groupBy(column).agg(F.count(F.lit(1)).alias("n_rows"))

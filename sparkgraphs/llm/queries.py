@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
-from . import bpe_codec, line_dedup, token_counts, warc
+from . import bpe_codec, decontaminate, language_id, line_dedup, token_counts, toxicity, warc
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (token_counts.op2_token_counts, warc.op4_warc_revisits, line_dedup.op7_line_dedup, bpe_codec.op8_bpe_encode_decode)}
+    found = (
+        token_counts.op2_token_counts, warc.op4_warc_revisits, toxicity.op5_toxicity, decontaminate.op6_decontaminate,
+        line_dedup.op7_line_dedup, bpe_codec.op8_bpe_encode_decode, language_id.op9_language_id,
+    )
+    return {f.__name__: f for f in found}
 
 
 def oracle_sql() -> dict[str, str]:
