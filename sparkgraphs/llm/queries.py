@@ -2,14 +2,14 @@
 
 from __future__ import annotations
 
-from . import bpe_codec, decontaminate, language_id, line_dedup, surrogates, token_counts, toxicity, warc
+from . import bpe_codec, decontaminate, language_id, line_dedup, ngram_join, surrogates, token_counts, toxicity, warc
 
 
 def queries() -> dict:
     found = (
         token_counts.op2_token_counts, warc.op4_warc_revisits, toxicity.op5_toxicity, decontaminate.op6_decontaminate,
         line_dedup.op7_line_dedup, bpe_codec.op8_bpe_encode_decode, language_id.op9_language_id,
-        surrogates.op10_surrogates,
+        surrogates.op10_surrogates, ngram_join.op3_ngram_jaccard,
     )
     return {f.__name__: f for f in found}
 
