@@ -36,14 +36,16 @@ def base32_sha1(data: Column) -> Column:
     return F.translate(F.upper(F.concat(part(1, 15, 12), part(16, 15, 12), part(31, 10, 8))), "0123456789ABCDEFGHIJKLMNOPQRSTUV", "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567")
 
 
-def resolve_revisits(pages: DataFrame, *, key: str = "page_id", url: str = "url", payload: str = "html", min_bytes: int = 0) -> DataFrame:
+def resolve_revisits(pages: DataFrame, *, key: str = "page_id", url: str = "url", payload: str = "html", min_bytes: int = 0, stages: Stages | None = None) -> DataFrame:
     """id, uri, payload, payload_bytes, payload_digest, refers_to, refers_uri (null for responses) of each row."""
+    stages = stages or Stages(pages.sparkSession, "warc")
     clean = F.translate(F.coalesce(F.col(url), F.concat(F.lit("urn:x-page:"), F.coalesce(F.col(key).cast("string"), F.lit("null")))), "\r\n", "")
     body = F.coalesce(F.col(payload).cast("string"), F.lit(""))
     records = pages.select(F.col(key).alias("id"), clean.alias("uri"), body.alias("payload")).select(
         "*", F.octet_length("payload").cast("long").alias("payload_bytes"), base32_sha1(F.col("payload")).alias("payload_digest")
     )
-    groups = (
+    # written first: of a few repeated digests Spark then knows the size, and need not shuffle payloads to join them
+    groups = stages.keep(
         records.where(F.col("payload_bytes") >= min_bytes).groupBy("payload_digest")
         .agg(F.max(F.struct("id", "uri")).alias("kept"), F.count(F.lit(1)).alias("n")).where("n > 1")
     )
@@ -118,8 +120,9 @@ def page_number(urn: str) -> Column:
 
 
 def op4_warc_revisits(spark: SparkSession, sf_dir: str) -> DataFrame:
-    path = f"{Stages(spark, 'warc').root}/archive"
-    write_warc(resolve_revisits(table(spark, sf_dir, "pages").select("page_id", "url", "html")), path)
+    stages = Stages(spark, "warc")
+    path = f"{stages.root}/archive"
+    write_warc(resolve_revisits(table(spark, sf_dir, "pages").select("page_id", "url", "html"), stages=stages), path)
     return read_warc(spark, path, payloads=False).select(page_number("record_id").alias("page_id"), "payload_bytes", "payload_digest", "record_type", page_number("refers_to").alias("refers_to"))
 
 
