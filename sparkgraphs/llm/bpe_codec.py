@@ -21,6 +21,7 @@ import tempfile
 from collections import Counter
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
@@ -233,7 +234,9 @@ def encode_decode(docs: DataFrame, tokenizer: str, *, text: str = "text", lexico
                     "decoded_sha256": pa.array([hashlib.sha256(x.encode("utf-8")).hexdigest() for x in back], pa.string()),
                 }
             else:
-                new = {"bpe_ids": pa.array([[int(i) for i in x.split(",")] if x else [] for x in ids], pa.list_(pa.int32())), "bpe_text": pa.array(list(back), pa.string())}
+                parts = [np.fromstring(x, np.int32, sep=",") if x else np.zeros(0, np.int32) for x in ids]
+                offsets = pa.array(np.concatenate([[0], np.cumsum([len(x) for x in parts])]).astype(np.int32))
+                new = {"bpe_ids": pa.ListArray.from_arrays(offsets, pa.array(np.concatenate([np.zeros(0, np.int32), *parts]))), "bpe_text": pa.array(list(back), pa.string())}
             kept = [(n, c) for n, c in zip(b.schema.names, b.columns, strict=True) if not digests or n != text]
             yield pa.RecordBatch.from_arrays([c for _, c in kept] + list(new.values()), names=[n for n, _ in kept] + list(new))
 

@@ -348,9 +348,10 @@ def similar_documents(docs: DataFrame, *, n: int = 5, percent: int = 80, key: st
 
 def keep_one_of_each(docs: DataFrame, *, n: int = 5, percent: int = 80, key: str = "doc_id", text: str = "text") -> DataFrame:
     """`docs` without those that a smaller doc_id reaches by links."""
-    found = similar_documents(docs, n=n, percent=percent, key=key, text=text)
-    gone = found.where("doc <> component").select(F.col("doc").alias(key)).distinct()
-    return docs.join(gone, key, "left_anti")
+    stages = Stages(docs.sparkSession, "ngrams")
+    found = similar_documents(docs, n=n, percent=percent, key=key, text=text, stages=stages)
+    gone = stages.keep(found.where("doc <> component").select(F.col("doc").alias(key)).distinct())  # if small, Spark broadcasts it by its size
+    return docs.join(gone, key, "left_anti").select(*docs.columns)
 
 
 def op3_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
