@@ -239,7 +239,8 @@ def signature_rows(docs: DataFrame, n: int, percent: int, key: str, text: str) -
 def sets_of(docs: DataFrame, members: DataFrame, n: int, key: str, text: str) -> DataFrame:
     """(every column of members, s): the sets of the documents named there; members: doc and more."""
     names = [c for c in members.columns if c != "doc"]
-    joined = docs.select(F.col(key).cast("long").alias("doc"), F.col(text).cast("binary").alias("t")).join(members, "doc")
+    # members grow with the corpus, so they are never broadcast: one shuffle of the texts at every size
+    joined = docs.select(F.col(key).cast("long").alias("doc"), F.col(text).cast("binary").alias("t")).join(members.hint("merge"), "doc")
 
     def body(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(n)
