@@ -12,7 +12,7 @@ from .check import certificates as cert
 from .core.priority import prio_sql
 from .measure import measures
 from .model import catalog
-from .model.graph import Graph
+from .model.graph import Graph, from_arcs
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -227,19 +227,17 @@ ew AS MATERIALIZED (SELECT src, dst, w::DOUBLE AS w FROM a UNION ALL SELECT dst,
 )
 def bellman_ford_real(spark: SparkSession, sf_dir: str) -> DataFrame:
     line = catalog.read(spark, sf_dir, "orders").join(catalog.read(spark, sf_dir, "lineitem"), F.col("o_orderkey") == F.col("l_orderkey"))
-    from .model.graph import from_arcs
-
     g = from_arcs(line.select((2 * F.col("o_custkey")).alias("src"), (2 * F.col("l_suppkey") + 1).alias("dst"), (F.round(F.col("l_extendedprice") * 100).cast("bigint") / 100.0).cast("double").alias("w"))).layout()
     return rounded(relax.bellman_ford(g, source(g)), "dist", 4)
 
 
-@query("bellman_ford_negative_cycle", f"WITH {arcs('event_hot_succession')} SELECT v, '-inf'::DOUBLE AS dist FROM v")
+@query("bellman_ford_negative_cycle", "SELECT n_nationkey::BIGINT AS v, '-inf'::DOUBLE AS dist FROM nation")
 def bellman_ford_negative_cycle(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All arcs weigh -1: from a vertex on a cycle every vertex gets -Infinity."""
-    g = catalog.load(spark, sf_dir, "event_hot_succession")
-    g = Graph(g.vertices, g.edges.withColumn("w", F.lit(-1).cast("bigint")), True).layout()
-    on_cycle = scc.largest_scc(g).agg(F.min("v").alias("m")).first().m
-    return relax.bellman_ford(g, on_cycle)
+    """A ring of all nations with arcs of weight -1: every vertex gets -Infinity."""
+    n = catalog.read(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("bigint").alias("src"))
+    ring = n.select("src", ((F.col("src") + 1) % n.count()).alias("dst"), F.lit(-1).cast("bigint").alias("w"))
+    g = from_arcs(ring, directed=True).layout()
+    return relax.bellman_ford(g, source(g))
 
 
 WIDEST = relax_sql("cust_supp", "9223372036854775807::BIGINT", "least(r.d, ew.w)", "max", ">=", "width")
