@@ -5,10 +5,10 @@ starts differ by the factor 1/t^2; a set is indexed in its own band and, if smal
 the universe (of hashes) is cut into segments; partners agree in one of any choice of segments that covers H + 1 units, where a segment
 compared exactly covers one unit, and one compared up to one deletion covers two.
 
-Allocation, per band, by estimated cost: either one-deletion neighbourhoods of few long segments, or exact segments with some to
-spare. Lists of segments with hardly any member grow with the corpus, as sets share them by chance; of its own accord a set
-asks for its H + 1 fullest segments only, and leaves the spare ones to others (`passive` signatures). Every such choice covers H + 1
-units, so no link is lost.
+Allocation by cost: a band uses either one-deletion neighbourhoods of few long segments, or exact segments with some to spare, by
+what each is estimated to emit. The lengths of all lists are then counted, and a set asks for all of its segments but its spare
+number of longest lists (which chance or a passage common to many makes long), leaving those to others (`passive`). Every such
+choice covers H + 1 units, so no link is lost.
 
 Signatures that a few sets share give candidate pairs. Pairs go to the group of their signature's smallest document, where each
 text's set is built once, and pairs already connected are not compared again. Signatures that many sets share (large groups of
@@ -34,7 +34,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import Stages, bounded_batches, map_arrow, streamed_groups, table
+from .common import Stages, bounded_batches, map_arrow, release, streamed_groups, table
 from .components import components
 from .token_counts import Memo
 
@@ -97,7 +97,8 @@ class Bands:
 
     @np.errstate(over="ignore")
     def plan(self, band: int) -> tuple[np.ndarray, np.ndarray, int, bool]:
-        """Segment starts, salts, number of spare segments, and whether segments are compared up to one deletion."""
+        """Segment starts, salts, number of spare segments, and whether segments are compared up to one deletion. Short segments are
+        more often shared by chance or through a common passage, so bands of such have more to spare."""
         if band not in self._plans:
             most = self.start(band + 1) - 1
             units = (100 - self.percent) * (most + most * 100 // self.percent) // (100 + self.percent) + 1
@@ -107,15 +108,15 @@ class Bands:
             deletions = units > 1 and halves + most + 50 * near_empty(halves) <= units + 8 + 50 * near_empty(units)
             m, spare = (halves, 0) if deletions else (units, 0)
             if not deletions and units > 1:
-                spare = 2 + int(1.5 * near_empty(units))
+                spare = 2 + math.ceil(units * min(0.3, 1.2 * units / most))
                 m = units + spare
             edges = np.array([(i << 64) // m for i in range(m)], U)
             self._plans[band] = edges, mix(np.arange(m, dtype=U) * M1 + U(band) * M2 + U(1)), spare, deletions
         return self._plans[band]
 
     @np.errstate(over="ignore")
-    def signatures(self, hashes: np.ndarray, band: int) -> tuple[np.ndarray, np.ndarray]:
-        """The signatures of a set (sorted hashes) in a band, and which are passive."""
+    def signatures(self, hashes: np.ndarray, band: int) -> tuple[np.ndarray, int]:
+        """The signatures of a set (sorted hashes) in a band, and how many of them it need not ask for."""
         edges, salt, spare, deletions = self.plan(band)
         at = np.searchsorted(hashes, edges)
         ends = np.append(at[1:], len(hashes))
@@ -124,15 +125,10 @@ class Bands:
         sums = run[ends] - run[at]
         name = lambda total, size, salt: mix(mix(total ^ salt) + size.astype(U))
         sig = name(sums, sizes, salt)
-        passive = np.zeros(len(sig), bool)
-        if spare:
-            passive[np.argsort(sizes, kind="stable")[:spare]] = True
         if deletions:
             seg = np.repeat(np.arange(len(sizes)), sizes)
-            gone = name(sums[seg] - hashes, sizes[seg] - 1, salt[seg])
-            sig = np.concatenate([sig, np.unique(gone)])
-            passive = np.zeros(len(sig), bool)
-        return sig, passive
+            sig = np.concatenate([sig, np.unique(name(sums[seg] - hashes, sizes[seg] - 1, salt[seg]))])
+        return sig, spare
 
 
 def linked(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
@@ -198,42 +194,48 @@ def block_links(left: list[tuple[int, np.ndarray]], right: list[tuple[int, np.nd
     return [(rows[r][0], rows[i][0]) for i, r in enumerate(label.tolist()) if r != i]
 
 
-def shingle_sets(docs: DataFrame, n: int, key: str, text: str) -> DataFrame:
-    """(doc, n_shingles, f1, f2) of each row: the set's size and a 128-bit fingerprint."""
-
-    def body(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler = Shingler(n)
-        for b in batches:
-            sizes, prints = [], []
-            for t in b.column(1).to_pylist():
-                s = shingler.shingles(t)
-                sizes.append(len(s))
-                d = hashlib.blake2b(s.tobytes(), digest_size=16).digest()
-                prints.append((int.from_bytes(d[:8], "little", signed=True), int.from_bytes(d[8:], "little", signed=True)))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sizes, pa.int64()), pa.array([p[0] for p in prints], pa.int64()), pa.array([p[1] for p in prints], pa.int64())], names=["doc", "n_shingles", "f1", "f2"])
-
-    return map_arrow(docs.select(F.col(key).cast("long").alias("doc"), F.col(text).cast("binary").alias("t")), body, "doc long, n_shingles long, f1 long, f2 long")
+#: What a row of signature_rows tells in `spare`: an index-only signature, or a document; else how many a set need not ask for.
+INDEX_ONLY, DOCUMENT = -1, -2
+SEEN = 1 << 17
 
 
 def signature_rows(docs: DataFrame, n: int, percent: int, key: str, text: str) -> DataFrame:
+    """In one pass over the texts: a row for each document (its set's size n and fingerprint f1, f2, dealt by its id), and a row for
+    each signature of its set. Of equal sets a task lists the first one's signatures only."""
+
     def body(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler, bands = Shingler(n), Bands(percent)
+        shingler, bands, seen = Shingler(n), Bands(percent), {}
         for b in batches:
-            sigs, marks, owners, counts = [], [], b.column(0).to_pylist(), []
-            for t in b.column(1).to_pylist():
-                s, n_rows = shingler.shingles(t), 0
-                for band in bands.of(len(s)) if len(s) else []:
-                    sig, passive = bands.signatures(s, band)
+            ids = b.column(0).to_pylist()
+            sigs, owners, counts, spares, sizes, prints = [], [], [], [], [], []
+            for i, t in zip(ids, b.column(1).to_pylist(), strict=True):
+                s = shingler.shingles(t)
+                d = hashlib.blake2b(s.tobytes(), digest_size=16).digest()
+                sizes.append(len(s))
+                prints.append(d)
+                if not len(s) or i is None or d in seen:
+                    continue
+                if len(seen) >= SEEN:
+                    seen.clear()
+                seen[d] = None
+                for own, band in enumerate(bands.of(len(s))):
+                    sig, spare = bands.signatures(s, band)
                     sigs.append(sig)
-                    marks.append(passive)
-                    n_rows += len(sig)
-                counts.append(n_rows)
-            if sigs:
-                columns = {"sig": np.concatenate(sigs).view(np.int64), "doc": np.repeat(np.array(owners, np.int64), counts), "passive": np.concatenate(marks)}
-                for at in range(0, len(columns["sig"]), 50_000):
-                    yield pa.RecordBatch.from_pydict({k: pa.array(v[at : at + 50_000]) for k, v in columns.items()})
-
-    return map_arrow(docs.where(F.col(key).isNotNull()).select(F.col(key).cast("long").alias("doc"), F.col(text).cast("binary").alias("t")), body, "sig long, doc long, passive boolean")
+                    owners.append(i)
+                    counts.append(len(sig))
+                    spares.append(INDEX_ONLY if own else spare)
+            halves = np.frombuffer(b"".join(prints), np.int64).reshape(-1, 2)
+            here = mix(np.array([i or 0 for i in ids], np.int64).view(U) ^ M1).view(np.int64)
+            yield pa.RecordBatch.from_pydict({"sig": pa.array(here), "doc": pa.array(ids, pa.int64()), "spare": pa.array(np.full(len(ids), DOCUMENT, np.int32)), "n": pa.array(sizes, pa.int32()), "f1": pa.array(halves[:, 0]), "f2": pa.array(halves[:, 1])})
+            if not sigs:
+                continue
+            columns = {"sig": np.concatenate(sigs).view(np.int64), "doc": np.repeat(np.array(owners, np.int64), counts), "spare": np.repeat(np.array(spares, np.int32), counts)}
+            for at in range(0, len(columns["sig"]), 50_000):
+                part = {k: pa.array(v[at : at + 50_000]) for k, v in columns.items()}
+                rows = len(part["sig"])
+                yield pa.RecordBatch.from_pydict(part | {"n": pa.nulls(rows, pa.int32()), "f1": pa.nulls(rows, pa.int64()), "f2": pa.nulls(rows, pa.int64())})
+
+    return map_arrow(docs.select(F.col(key).cast("long").alias("doc"), F.col(text).cast("binary").alias("t")), body, "sig long, doc long, spare int, n int, f1 long, f2 long")
 
 
 def sets_of(docs: DataFrame, members: DataFrame, n: int, key: str, text: str) -> DataFrame:
@@ -304,18 +306,32 @@ def similar_documents(docs: DataFrame, *, n: int = 5, percent: int = 80, key: st
     spark = docs.sparkSession
     stages = stages or Stages(spark, "ngrams")
     bounded_batches(spark)
-    sizes = stages.keep(shingle_sets(docs, n, key, text))
+    by_sig = Window.partitionBy("sig")
+    rows = signature_rows(docs, n, percent, key, text).withColumns({"c": F.count(F.lit(1)).over(by_sig), "asked": F.max("spare").over(by_sig)})
+    table_of = stages.keep(rows.where(f"spare = {DOCUMENT} OR (c > 1 AND asked >= 0)").drop("asked"))
+    release(spark)
+    sizes = table_of.where(f"spare = {DOCUMENT}").select("doc", F.col("n").cast("long").alias("n_shingles"), "f1", "f2")
     classes = sizes.where("n_shingles > 0 AND doc IS NOT NULL").groupBy("f1", "f2", "n_shingles").agg(F.min("doc").alias("rep"), F.count(F.lit(1)).alias("copies"))
     classes = stages.keep(classes)
-    rows = signature_rows(docs, n, percent, key, text)
-    by_sig = Window.partitionBy("sig")
-    ordered = by_sig.orderBy("passive", "doc")
-    shared = rows.withColumns({"c": F.count(F.lit(1)).over(by_sig), "idle": F.min("passive").over(by_sig)}).where("c > 1 AND NOT idle")
+    keys = ["f1", "f2", "n_shingles"]
+    # equal sets share all signatures: the smallest document stands for all. A class of over a thousandth of the rows is a hot key: there
+    # are at most a thousand of those, which are broadcast
+    total = F.broadcast(sizes.agg((F.count(F.lit(1)) / 1000).alias("least")))
+    common = classes.where("copies > 1").crossJoin(total)
+    hot_class = F.broadcast(common.where("copies > least").select(*keys, F.col("rep").alias("hot")))
+    cold_class = common.where("copies <= least").select(*keys, F.col("rep").alias("cold"))
+    other = sizes.join(hot_class, keys, "left").join(cold_class, keys, "left").select("doc", F.coalesce("hot", "cold").alias("rep")).where("rep IS NOT NULL AND rep <> doc")
+    other = stages.keep(other.groupBy("doc").agg(F.min("rep").alias("rep")))
+    lists = table_of.where(f"spare > {DOCUMENT}").select("sig", "doc", "spare", "c").join(other, "doc", "left")
+    lists = lists.groupBy("sig", F.coalesce("rep", "doc").alias("doc")).agg(F.max("spare").alias("spare"), F.max("c").alias("c"))
+    # a set asks for all of its own signatures but the `spare` longest lists
+    mine = Window.partitionBy("doc", F.col("spare") >= 0).orderBy(F.desc("c"), "sig")
+    asked = lists.withColumn("passive", (F.col("spare") < 0) | (F.row_number().over(mine) <= F.col("spare")))
+    shared = asked.withColumns({"c": F.count(F.lit(1)).over(by_sig), "idle": F.min("passive").over(by_sig)}).where("c > 1 AND NOT idle")
     shared = stages.keep(shared.select("sig", "doc", "passive", "c"))
-    reps = classes.select(F.col("rep").alias("doc"))
-    shared = shared.join(reps, "doc", "left_semi")  # equal sets share all signatures: one of them stands for all
+    ordered = by_sig.orderBy("passive", "doc")
     few = shared.where(F.col("c") <= SMALL_LIST)
-    before = F.collect_list("doc").over(ordered.rowsBetween(-SMALL_LIST, -1))
+    before = F.collect_list(F.when(~F.col("passive"), F.col("doc"))).over(ordered.rowsBetween(-SMALL_LIST, -1))
     first = F.first("doc").over(ordered)
     pairs = few.select("doc", before.alias("before"), first.alias("grp")).where(F.size("before") > 0).select(F.explode("before").alias("x"), "doc", "grp")
     pairs = pairs.select(F.least("x", "doc").alias("a"), F.greatest("x", "doc").alias("b"), "grp").where("a < b").groupBy("a", "b").agg(F.min("grp").alias("grp"))
@@ -335,14 +351,10 @@ def similar_documents(docs: DataFrame, *, n: int = 5, percent: int = 80, key: st
         .unionByName(cluster_links(sets.where("kind = 1").select(F.col("grp").alias("cluster"), "blocks", "doc", "s"), percent))
     )
     groups = components(links, stages).select(F.col("v").alias("rep"), "component")
-    reach = classes.join(groups, "rep", "left").select("f1", "f2", "n_shingles", F.coalesce("component", "rep").alias("component"), "copies")
-    lone = reach.where("copies = 1").select("f1", "f2", "n_shingles", "component")
-    # the class of a frequent text is a hot key: those of over a thousandth of the rows (at most a thousand) are broadcast
-    total = F.broadcast(sizes.agg((F.count(F.lit(1)) / 1000).alias("least")))
+    reach = classes.join(groups, "rep", "left").select(*keys, F.coalesce("component", "rep").alias("component"), "copies")
     ranked = reach.where("copies > 1").crossJoin(total)
-    hot = F.broadcast(ranked.where("copies > least").select("f1", "f2", "n_shingles", F.col("component").alias("hot")))
-    cold = lone.unionByName(ranked.where("copies <= least").select("f1", "f2", "n_shingles", "component"))
-    keys = ["f1", "f2", "n_shingles"]
+    hot = F.broadcast(ranked.where("copies > least").select(*keys, F.col("component").alias("hot")))
+    cold = reach.where("copies = 1").select(*keys, "component").unionByName(ranked.where("copies <= least").select(*keys, "component"))
     out = sizes.join(hot, keys, "left").join(cold, keys, "left")
     return out.select("doc", "n_shingles", F.coalesce("hot", "component", "doc").alias("component"))
 
