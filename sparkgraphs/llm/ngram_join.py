@@ -102,10 +102,9 @@ class Bands:
         if band not in self._plans:
             most = self.start(band + 1) - 1
             units = (100 - self.percent) * (most + most * 100 // self.percent) // (100 + self.percent) + 1
-            # rows a set emits, plus what chance agreement of nearly empty segments would cost
-            near_empty = lambda m: m * math.exp(-most / m) * (1 + most / m)
             halves = (units + 1) // 2
-            deletions = units > 1 and halves + most + 50 * near_empty(halves) <= units + 8 + 50 * near_empty(units)
+            # deletions list every member once more: worth it for sets of a few units, whose exact segments would be few and long lists
+            deletions = 1 < units <= 4
             m, spare = (halves, 0) if deletions else (units, 0)
             if not deletions and units > 1:
                 spare = 2 + math.ceil(units * min(0.3, 1.2 * units / most))
