@@ -68,6 +68,6 @@ def pagerank_delta(g: Graph, *, damping: float = 0.85, eps: float = 1e-6, local_
         sums = parts.groupBy(F.col("dst").alias("v")).agg(F.sum("part").alias("got"))
         got = damping * F.coalesce("got", F.lit(0.0))
         # what is too small to be sent waits in delta
-        moved = state.join(sums, "v", "left").select("v", "out", (F.col("rank") + got).alias("rank"), (got + F.when(moving, 0.0).otherwise(F.col("delta"))).alias("delta"), got.alias("got"))
+        moved = state.select("v", "out", "rank", "delta").join(sums, "v", "left").select("v", "out", (F.col("rank") + got).alias("rank"), (got + F.when(moving, 0.0).otherwise(F.col("delta"))).alias("delta"), got.alias("got"))
         state, seen = rounds.keep(moved, "state", change=F.sum(F.abs("got")), active=F.count_if(F.abs("delta") > local_eps * F.col("rank")))
     return state.select("v", F.greatest(F.col("rank"), F.lit(base)).alias("rank"))

@@ -126,9 +126,10 @@ MIS_SQL = f"""WITH RECURSIVE {{arcs}}, pr AS (SELECT v, {prio_sql(42, 'v')} AS p
 dag AS MATERIALIZED (SELECT e.src, e.dst FROM e JOIN pr a ON a.v = e.src JOIN pr b ON b.v = e.dst WHERE (a.p, a.v) < (b.p, b.v)),
 r(v, st) USING KEY (v) AS (
   SELECT v, 0 FROM v UNION
-  SELECT v, CASE WHEN hit > 0 THEN 2 ELSE 1 END FROM (
-    SELECT o.v, count_if(k.st = 1) AS hit, count_if(k.st = 0) AS open FROM recurring.r o LEFT JOIN dag ON dag.dst = o.v LEFT JOIN recurring.r k ON k.v = dag.src
-    WHERE o.st = 0 AND EXISTS (SELECT 1 FROM r) GROUP BY o.v) x WHERE hit > 0 OR open = 0)
+  SELECT x.v, CASE WHEN hit > 0 THEN 2 ELSE 1 END FROM (
+    SELECT v.v, count(k1.v) AS hit, count(dag.src) - count(k1.v) - count(k2.v) AS open FROM v LEFT JOIN dag ON dag.dst = v.v
+    LEFT JOIN (SELECT v FROM recurring.r WHERE st = 1) k1 ON k1.v = dag.src LEFT JOIN (SELECT v FROM recurring.r WHERE st = 2) k2 ON k2.v = dag.src GROUP BY v.v) x
+  JOIN recurring.r o ON o.v = x.v AND o.st = 0 WHERE (hit > 0 OR open = 0) AND EXISTS (SELECT 1 FROM r))
 SELECT v FROM r WHERE st = 1"""
 
 MATCHING_SQL = f"""WITH RECURSIVE {{arcs}},
@@ -136,9 +137,10 @@ h AS MATERIALIZED (SELECT row_number() OVER (ORDER BY p, src, dst) AS i, src, ds
 adj AS MATERIALIZED (SELECT DISTINCT a.i AS i, b.i AS j FROM h a JOIN h b ON (a.src = b.src OR a.dst = b.dst OR a.src = b.dst OR a.dst = b.src) AND b.i < a.i),
 r(i, st) USING KEY (i) AS (
   SELECT i, 0 FROM h UNION
-  SELECT i, CASE WHEN hit > 0 THEN 2 ELSE 1 END FROM (
-    SELECT o.i, count_if(k.st = 1) AS hit, count_if(k.st = 0) AS open FROM recurring.r o LEFT JOIN adj ON adj.i = o.i LEFT JOIN recurring.r k ON k.i = adj.j
-    WHERE o.st = 0 AND EXISTS (SELECT 1 FROM r) GROUP BY o.i) x WHERE hit > 0 OR open = 0)
+  SELECT x.i, CASE WHEN hit > 0 THEN 2 ELSE 1 END FROM (
+    SELECT h.i, count(k1.i) AS hit, count(adj.j) - count(k1.i) - count(k2.i) AS open FROM h LEFT JOIN adj ON adj.i = h.i
+    LEFT JOIN (SELECT i FROM recurring.r WHERE st = 1) k1 ON k1.i = adj.j LEFT JOIN (SELECT i FROM recurring.r WHERE st = 2) k2 ON k2.i = adj.j GROUP BY h.i) x
+  JOIN recurring.r o ON o.i = x.i AND o.st = 0 WHERE (hit > 0 OR open = 0) AND EXISTS (SELECT 1 FROM r))
 SELECT src, dst FROM h JOIN r USING (i) WHERE st = 1"""
 
 COLOR_SQL = f"""WITH RECURSIVE {{arcs}},
@@ -147,8 +149,9 @@ dag AS MATERIALIZED (SELECT e.src, e.dst FROM e JOIN pr a ON a.v = e.src JOIN pr
 r(v, c) USING KEY (v) AS (
   SELECT v, -1::BIGINT FROM v UNION
   SELECT x.v, list_min(list_filter(range(0, len(x.used) + 1), lambda y: NOT list_contains(x.used, y))) FROM (
-    SELECT o.v, coalesce(list(DISTINCT k.c) FILTER (WHERE k.c >= 0), []) AS used, count_if(k.c = -1) AS open FROM recurring.r o LEFT JOIN dag ON dag.dst = o.v LEFT JOIN recurring.r k ON k.v = dag.src
-    WHERE o.c = -1 AND EXISTS (SELECT 1 FROM r) GROUP BY o.v) x WHERE open = 0)
+    SELECT v.v, coalesce(list(DISTINCT k.c) FILTER (WHERE k.c >= 0), []) AS used, count(dag.src) - count(k.v) AS open FROM v LEFT JOIN dag ON dag.dst = v.v
+    LEFT JOIN (SELECT v, c FROM recurring.r WHERE c >= 0) k ON k.v = dag.src GROUP BY v.v) x
+  JOIN recurring.r o ON o.v = x.v AND o.c = -1 WHERE open = 0 AND EXISTS (SELECT 1 FROM r))
 SELECT v, c AS color FROM r"""
 
 MSF_SQL = f"""WITH RECURSIVE {{arcs}}, {W},
