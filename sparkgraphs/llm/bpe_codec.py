@@ -31,10 +31,27 @@ from .common import bounded_batches, map_arrow, table
 from .token_counts import MEMO_ENTRIES, Memo, byte_symbols, merges_left
 
 LEXICON_WORDS = 32_768
+#: Words of up to so many bytes are merged without a heap.
+SHORT = 24
 #: The byte-level split of this vocabulary family (fixed value of the tokenizer format).
 SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 
+def merged_short(symbols: list[str], rank: dict[tuple[str, str], int]) -> list[str]:
+    """The same merges as with a heap: for a short word looking for the lowest rank costs less than keeping one."""
+    none = len(rank)
+    ranks = [rank.get(p, none) for p in zip(symbols, symbols[1:])]
+    while ranks and (low := min(ranks)) < none:
+        i = ranks.index(low)
+        symbols[i : i + 2] = [symbols[i] + symbols[i + 1]]
+        del ranks[i]
+        if i:
+            ranks[i - 1] = rank.get((symbols[i - 1], symbols[i]), none)
+        if i < len(ranks):
+            ranks[i] = rank.get((symbols[i], symbols[i + 1]), none)
+    return symbols
+
+
 class ByteBpe:
     """Exact merging of a byte-level vocabulary with the special strings of the file."""
 
@@ -51,7 +68,8 @@ class ByteBpe:
         self.split = regex.compile(SPLIT)
 
     def merge(self, word: str) -> list[int]:
-        return [self.vocab[s] for s in merges_left([self.symbols[b] for b in word.encode("utf-8")], self.rank)]
+        symbols = [self.symbols[b] for b in word.encode("utf-8")]
+        return [self.vocab[s] for s in (merged_short(symbols, self.rank) if len(symbols) <= SHORT else merges_left(symbols, self.rank))]
 
 
 def compile_lexicon(entries: dict[str, list[int]]) -> bytes:
@@ -185,7 +203,7 @@ class Codec:
         return b"".join(map(self.bpe.pieces.__getitem__, ids.split(","))).decode("utf-8", "replace") if ids else ""
 
 
-def frequent_words(docs: DataFrame, *, text: str = "text", words: int = LEXICON_WORDS, least: int = 3, held: int = 1 << 20) -> list[str]:
+def frequent_words(docs: DataFrame, *, text: str = "text", words: int = LEXICON_WORDS, least: int = 3, held: int = 1 << 19) -> list[str]:
     """The commonest pre-tokens of all texts, at most `words` of them, for the lexicon."""
     bounded_batches(docs.sparkSession)
     split = SPLIT

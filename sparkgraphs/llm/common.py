@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
+import ctypes
 import gc
 import shutil
 import tempfile
@@ -116,5 +118,16 @@ def streamed_groups(batches: Iterable[pa.RecordBatch], keys: list[str]) -> Itera
         yield current, pa.Table.from_batches(held)
 
 
+def trim() -> None:
+    """Gives memory that a task has freed back to the system: workers are reused and would else keep it."""
+    gc.collect()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def map_arrow(df: DataFrame, body: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
-    return df.mapInArrow(body, schema)
+    def trimmed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from body(batches)
+        trim()
+
+    return df.mapInArrow(trimmed, schema)

@@ -58,7 +58,7 @@ class Shingler:
 
     def __init__(self, n: int):
         self.n = n
-        self.words = Memo(xxhash.xxh64_intdigest, 1 << 19)
+        self.words = Memo(xxhash.xxh64_intdigest, 1 << 18)
 
     @np.errstate(over="ignore")
     def shingles(self, text: bytes | None) -> np.ndarray:

@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from .common import bounded_batches, bounded_sample, held_out, map_arrow, table
 from .token_counts import Memo
 
-FIT_ROWS, FIT_BYTES, THRESHOLD = 8_000, 48 << 20, 0.3
+FIT_ROWS, FIT_BYTES, THRESHOLD = 6_000, 32 << 20, 0.3
 WORD = re.compile(r"[^\W\d_]+")
 #: Lengths of the word beginnings that may serve as features, the longest first.
 PREFIXES = (6, 5, 4)
@@ -56,7 +56,7 @@ class SpanField:
             power = power / power.max()
             self.powers.append(power.tolist())
         self.enter = {f: ((t * np.array([1.0, math.exp(x)])[None, :]).tolist(), math.exp(x)) for f, x in self.weights.items()}
-        self.feature = Memo(lambda w: next((f for f in word_features(w) if f in self.weights), None))
+        self.feature = Memo(lambda w: next((f for f in word_features(w) if f in self.weights), None), 1 << 16)
 
     def __reduce__(self):
         return SpanField, (self.weights, self.bias, self.trans, self.logistic)
@@ -227,7 +227,8 @@ def fit_rows(docs: DataFrame, labels: DataFrame, *, rows: int = FIT_ROWS, max_by
         .groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     )
     texts, toxic = bounded_sample(docs, seed, "toxic", rows=rows, max_bytes=max_bytes)
-    return [WORD.findall((t or "").lower()) for t in texts], toxic
+    same: dict[str, str] = {}  # one object for each word
+    return [[same.setdefault(w, w) for w in WORD.findall((t or "").lower())] for t in texts], toxic
 
 
 def score_toxicity(docs: DataFrame, model: SpanField, *, text: str = "text", threshold: float = THRESHOLD, spans: bool = True, keep_text: bool = True) -> DataFrame:
