@@ -12,8 +12,8 @@ choice covers H + 1 units, so no link is lost.
 
 Signatures that a few sets share give candidate pairs. Pairs go to the group of their signature's smallest document, where each
 text's set is built once, and pairs already connected are not compared again. Signatures that many sets share (large groups of
-near copies) connect their documents into clusters; a cluster is cut into blocks by a hash, equal sets count once,
-and each pair of blocks is compared exactly by a matrix product that emits a spanning forest of its links, never the
+near copies) connect their documents into clusters; a cluster is split by bands of size and cut into blocks by a hash, equal sets
+count once, and each pair of blocks is compared exactly by a matrix product that emits a spanning forest of its links, never the
 pairs. The components of all links are the result. All comparisons are exact on 64-bit hashes of n-grams.
 
 Defined cases: null texts and texts without words have an empty set and are linked with nothing; texts of fewer than n words have
@@ -38,7 +38,7 @@ from .common import Stages, bounded_batches, map_arrow, release, streamed_groups
 from .components import components
 from .token_counts import Memo
 
-BLOCK_DOCS, BLOCK_SHINGLES = 256, 1 << 18
+BLOCK_DOCS, BLOCK_SHINGLES = 512, 1 << 18
 #: Up to so many sets of one signature are paired; more make a cluster that is compared in blocks.
 SMALL_LIST = 32
 U = np.uint64
@@ -339,10 +339,14 @@ def similar_documents(docs: DataFrame, *, n: int = 5, percent: int = 80, key: st
     many = shared.where(F.col("c") > SMALL_LIST)
     heads = many.groupBy("sig").agg(F.min("doc").alias("head"))
     clusters = components(many.join(heads, "sig").select(F.col("doc").alias("a"), F.col("head").alias("b")), stages)
-    counts = clusters.groupBy("component").agg(F.count(F.lit(1)).alias("docs"))
-    mass = clusters.join(sizes.select(F.col("doc").alias("v"), "n_shingles"), "v").groupBy("component").agg(F.sum("n_shingles").alias("mass"))
-    blocks = counts.join(mass, "component").select("component", F.greatest(F.ceil(F.col("docs") / BLOCK_DOCS), F.ceil(F.col("mass") / BLOCK_SHINGLES)).cast("long").alias("blocks"))
-    crowd = clusters.join(blocks, "component").select(F.col("v").alias("doc"), F.lit(1).alias("kind"), F.col("component").alias("grp"), "blocks")
+    # within a cluster only sets of about one size can be linked: it is split by bands of the factor t, and a set goes to its own
+    # band and the one below, where a smaller partner may be
+    band = F.floor(F.log(F.col("n_shingles").cast("double")) / math.log(100 / percent * 1.0001))
+    sized = clusters.withColumnRenamed("v", "doc").join(sizes.select("doc", "n_shingles"), "doc").distinct()
+    sized = sized.select("doc", "n_shingles", "component", F.explode(F.array(band, band - 1)).alias("band")).select("doc", "n_shingles", F.xxhash64("component", "band").alias("grp"))
+    blocks = sized.groupBy("grp").agg(F.count(F.lit(1)).alias("docs"), F.sum("n_shingles").alias("mass")).where("docs > 1")
+    blocks = blocks.select("grp", F.greatest(F.ceil(F.col("docs") / BLOCK_DOCS), F.ceil(F.col("mass") / BLOCK_SHINGLES)).cast("long").alias("blocks"))
+    crowd = sized.join(blocks, "grp").select("doc", F.lit(1).alias("kind"), "grp", "blocks")
     wanted = stages.keep(members.select("doc", F.lit(0).alias("kind"), "grp", F.lit(0).cast("long").alias("blocks")).unionByName(crowd.select("doc", "kind", "grp", "blocks")))
     sets = stages.keep(sets_of(docs, wanted, n, key, text))
     links = stages.keep(
