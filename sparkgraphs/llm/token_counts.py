@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from .common import bounded_batches, map_arrow, table
 
-MEMO_ENTRIES = 1 << 18
+MEMO_ENTRIES = 1 << 19
 #: str.split() also splits at these, which are not white space for the tokenizer.
 SEPARATORS = ("\x1c", "\x1d", "\x1e", "\x1f")
 WHITE = regex.compile(r"[\t-\r \x85\xa0  -     　]+")
