@@ -320,6 +320,31 @@ query("pagerank_push_raw", PAGERANK_SQL.format(arcs=arcs("cust_supp"), times=1))
 query("pagerank_delta_cert", "SELECT true AS close, true AS mass_kept")(on("event_succession_sym", lambda g: cert.ranks_close(ranking.pagerank(g), ranking.pagerank_delta(g))))
 query("pagerank_directed_mass", "SELECT true AS mass_kept")(on("page_links", lambda g: ranking.pagerank(g, dangling="redistribute", max_iter=30).agg((F.abs(F.sum("rank") - 1) < 1e-6).alias("mass_kept"))))
 
+# --- whole-table graphs --------------------------------------------------------------------------------------------------------
+
+#: Queries named above on slices, here on all rows of their tables: graph, method, SQL where it ends in time, whether weighted.
+WHOLE: dict[str, tuple] = {
+    "kcore": ("cust_supp", substructure.kcore, core_sql("cust_supp") + " SELECT v, h AS coreness FROM r", False),
+    "color_llf": ("part_copurchase", covering.color, None, False),
+    "matching_filtered": ("cust_part", covering.maximal_matching, None, False),
+    "matching_greedy": ("cust_part", lambda g: covering.maximal_matching(g, method="plain"), None, False),
+    "matching_prefix_all": ("part_copurchase", lambda g: covering.maximal_matching(g, method="prefix_all"), None, False),
+    "msf_edges": ("event_succession_sym", msf.msf, MSF_SQL.format(arcs=arcs("event_succession_sym")), True),
+    "msf_boruvka": ("cust_part", lambda g: msf.msf(g, method="boruvka"), None, True),
+    "msf_kruskal": ("cust_part", lambda g: msf.msf(g, method="kruskal"), None, True),
+    "ball_decompose_centers": ("cust_part", lambda g: ball.ball_decompose(g).select("v", "center"), None, False),
+    "ball_decompose_quality": ("cust_part", lambda g: cert.ball_quality(g, ball.ball_decompose(g), 0.2), "SELECT true AS centers_own, true AS connected, true AS within_bounds", False),
+    "bicc_edge_labels": ("order_part", lambda g: biconnectivity.bicc_edge_labels(biconnectivity.biconnectivity(g)), None, False),
+    "bicc_dfs": ("order_part", biconnectivity.bicc_dfs, None, False),
+    "articulation_points": ("order_part", lambda g: biconnectivity.articulation_points(biconnectivity.biconnectivity(g)), None, False),
+    "scc_hot_events": ("event_succession", scc.scc, SCC_SQL.format(arcs=arcs("event_succession")), False),
+    "scc_fwbw_trim": ("event_succession", scc.scc_fwbw_trim, SCC_SQL.format(arcs=arcs("event_succession")), False),
+    "scc_staged": ("event_succession", scc.scc_staged, SCC_SQL.format(arcs=arcs("event_succession")), False),
+    "scc_no_trim": ("event_succession", lambda g: scc.scc(g, trim=False, first_pivot=False, beta_growth=2.0), SCC_SQL.format(arcs=arcs("event_succession")), False),
+}
+for _name, (_graph, _f, _sql, _weights) in WHOLE.items():
+    query(f"{_name}_whole", _sql)(on(_graph, _f, weights=_weights))
+
 STATS_SQL = """SELECT '{name}' AS graph, (SELECT count(*) FROM v) AS n, (SELECT count(*) FROM e) AS arcs, (SELECT max(k) FROM (SELECT count(*) AS k FROM e GROUP BY src)) AS max_degree, (SELECT count(DISTINCT label) FROM cc) AS components"""
 for _g in ("cust_supp", "order_part_h1", "conversation_chain", "geo_tree", "torus"):
     query(f"graph_stats_{_g}", f"WITH RECURSIVE {arcs(_g)}, {label_cte()} {STATS_SQL.format(name=_g)}")(on(_g, measures.graph_stats))
