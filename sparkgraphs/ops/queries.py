@@ -189,6 +189,14 @@ def recursive_sql(spark: S, sf_dir: str) -> DataFrame:
         r(v, d) AS (SELECT min(src), 0 FROM a UNION ALL SELECT DISTINCT dst, d + 1 FROM r JOIN a ON src = v WHERE d < 8 AND dst IS NOT NULL) SELECT v, min(d) AS dist FROM r GROUP BY v""")
 
 
+@op("recursive_sql_whole", f"""WITH RECURSIVE {arcs('event_succession')}, r(v, d) USING KEY (v) AS (
+  SELECT min(src), 0::BIGINT FROM e UNION
+  SELECT e.dst, min(r.d) + 1 FROM r JOIN e ON r.v = e.src WHERE NOT EXISTS (SELECT 1 FROM recurring.r k WHERE k.v = e.dst) GROUP BY e.dst)
+SELECT v, d AS dist FROM r WHERE v IS NOT NULL""")
+def recursive_sql_whole(spark: S, sf_dir: str) -> DataFrame:
+    return rel.recursive_reach(catalog.load(spark, sf_dir, "event_succession").edges)
+
+
 # graph primitives
 
 @op("prefix_cut", "SELECT true AS holds")

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..core.rounds import Rounds
+
 
 def scan_edges(df: DataFrame, src: str, dst: str, pred: Column | str | None = None) -> DataFrame:
     """Distinct (src, dst); predicate and columns reach the scan."""
@@ -74,3 +76,17 @@ def json_edges(df: DataFrame, v: str, props: str, path: str) -> DataFrame:
 def extract_links(df: DataFrame, key: str, html: str) -> DataFrame:
     """(key, link): the distinct relative links of each page."""
     return df.select(key, F.explode(F.array_distinct(F.regexp_extract_all(html, F.lit('href="(/[^"]+)"'), 1))).alias("link"))
+
+
+def recursive_reach(edges: DataFrame) -> DataFrame:
+    """(v, dist) of what the smallest source reaches: a recursion in SQL, a statement a round, until no new vertex appears."""
+    spark, rounds = edges.sparkSession, Rounds(edges.sparkSession, "recursive")
+    arcs = rounds.table(edges.select("src", "dst"))
+    reached, seen = rounds.keep(spark.sql("SELECT min(src) AS v, CAST(0 AS BIGINT) AS dist FROM {arcs} HAVING min(src) IS NOT NULL", arcs=arcs), "reached", new=F.count(F.lit(1)))
+    depth = 0
+    while seen["new"]:
+        depth += 1
+        step = """SELECT v, dist FROM {reached} UNION ALL
+            SELECT DISTINCT a.dst, CAST({depth} AS BIGINT) FROM {reached} r JOIN {arcs} a ON a.src = r.v LEFT ANTI JOIN {reached} k ON k.v = a.dst WHERE r.dist = {depth} - 1"""
+        reached, seen = rounds.keep(spark.sql(step, reached=reached, arcs=arcs, depth=depth), "reached", new=F.count_if(F.col("dist") == depth))
+    return reached
