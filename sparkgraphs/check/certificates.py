@@ -10,9 +10,13 @@ from pyspark.sql import functions as F
 from ..algo.bfs import bfs
 from ..algo.connectivity import hook_jump
 from ..algo.substructure import kcore_hindex, kcore_pow2
+from ..core.prims import index
 from ..core.rounds import Rounds
 from ..model.graph import Graph, from_arcs
 
+#: Pairs of a source and a vertex that a block of the stretch check may reach.
+REACH = 1 << 26
+
 
 def one(g: Graph, **values) -> DataFrame:
     kinds = {bool: "boolean", int: "bigint", float: "double"}
@@ -59,27 +63,41 @@ def quality(g: Graph, balls: DataFrame) -> tuple[int, int]:
     return cut, radius
 
 
-def stretch(g: Graph, h: Graph, pairs: DataFrame, limit: int) -> int:
-    """How many of the pairs (src, dst) are farther apart than `limit` in h: balls around all sources grow together, by pairs."""
+def stretch(g: Graph, h: Graph, pairs: DataFrame, limit: int, most: int = REACH) -> int:
+    """How many of the pairs (src, dst) are farther apart than `limit` in h.
+
+    Sources are taken in blocks, so that a block reaches at most `most` pairs (or one source's own); balls around the sources of a block
+    grow together, and a source's ball stops when its pairs are settled.
+    """
+    size = max(1, most // max(1, h.vertices.count()))
     rounds = Rounds(g.spark, "stretch")
-    open_ = rounds.table(pairs.select("src", "dst"))
-    reach = rounds.table(open_.select("src").distinct().select("src", F.col("src").alias("at")))
-    for _ in range(limit):
-        reach = rounds.table(reach.join(h.edges.select(F.col("src").alias("at"), F.col("dst").alias("to")), "at").select("src", F.col("to").alias("at")).unionByName(reach).distinct())
-        open_ = rounds.table(open_.join(reach.withColumnRenamed("at", "dst"), ["src", "dst"], "left_anti"))
-        if open_.isEmpty():
-            return 0
-    return open_.count()
-
-
-def spanner(g: Graph, edges: DataFrame, k: int, sources: int = 64) -> DataFrame:
-    """Edges are the graph's, components stay, and edges at a sample of vertices (by hash) are stretched by O(k) at most."""
+    sources = pairs.select("src").distinct()
+    n = sources.count()
+    place = index(sources, ["src"], "pos").select("src", F.expr(f"pos div {size}").alias("block")) if n > size else sources.withColumn("block", F.lit(0))
+    dealt = rounds.table(pairs.select("src", "dst").join(place, "src"))
+    arcs, far = rounds.table(h.edges.select(F.col("src").alias("at"), F.col("dst").alias("to"))), 0
+    for b in range(-(-n // size)):
+        open_, seen = rounds.keep(dealt.where(F.col("block") == b).select("src", "dst"), "open", left=F.count(F.lit(1)))
+        reach, _ = rounds.keep(open_.select("src").distinct().select("src", F.col("src").alias("at"), F.lit(0).alias("depth")), "reach")
+        for depth in range(1, limit + 1):
+            live = reach.join(open_.select("src").distinct(), "src", "left_semi")
+            step = live.where(F.col("depth") == depth - 1).join(arcs, "at").select("src", F.col("to").alias("at"), F.lit(depth).alias("depth"))
+            reach, grown = rounds.keep(live.unionByName(step).groupBy("src", "at").agg(F.min("depth").alias("depth")), "reach", new=F.count_if(F.col("depth") == depth))
+            open_, seen = rounds.keep(open_.join(reach.where(F.col("depth") == depth).select("src", F.col("at").alias("dst")), ["src", "dst"], "left_anti"), "open", left=F.count(F.lit(1)))
+            if not seen["left"] or not grown["new"]:
+                break
+        far += seen["left"]
+    return far
+
+
+def spanner(g: Graph, edges: DataFrame, k: int) -> DataFrame:
+    """Edges are the graph's, components stay, and every dropped edge is stretched by O(k) at most."""
     edges = Rounds(g.spark, "check").table(edges)
     foreign = edges.join(g.edges.select("src", "dst"), ["src", "dst"], "left_anti").count()
     h = from_arcs(edges, g.vertices)
     spans = hook_jump(h).exceptAll(hook_jump(g)).isEmpty()
-    some = g.vertices.orderBy(F.xxhash64("v")).limit(sources).withColumnRenamed("v", "src")
-    far = stretch(g, h, g.edges.select("src", "dst").join(F.broadcast(some), "src"), 8 * k + 8)
+    dropped = g.half().select("src", "dst").join(h.edges.select("src", "dst"), ["src", "dst"], "left_anti")
+    far = stretch(g, h, dropped, 8 * k + 8)
     return one(g, foreign_edges=foreign, spans=spans, within_stretch=far == 0)
 
 
