@@ -4,8 +4,8 @@ A line's key is the line without white space at both ends, A-Z lower-cased; 128-
 document contributes each key once, before the shuffle. Keys found in `min_docs` documents or more lose their lines everywhere but
 in the largest doc_id that holds them.
 
-Defined cases: null and empty texts are one empty line; each row counts as a document, and rows that share a doc_id keep or lose
-a line together; ties cannot arise, as doc_ids order the holders; empty tables give empty results; columns named n_lines or
+Defined cases: null and empty texts are one empty line; rows that share a doc_id count as one document and keep or lose
+a line together, rows without doc_id count as none; ties cannot arise, as doc_ids order the holders; empty tables give empty results; columns named n_lines or
 n_dropped in the input are replaced; all other columns pass through.
 """
 
@@ -41,7 +41,7 @@ def dedup_lines(docs: DataFrame, *, key: str = "doc_id", text: str = "text", min
         F.col(key).alias("k"),
         F.explode(F.array_distinct(F.transform(F.filter(split_lines(text), long_enough), line_digest))).alias("h"),
     )
-    common = stages.keep(held.groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.max("k").alias("keeper")).where(F.col("n") >= min_docs))
+    common = stages.keep(held.distinct().groupBy("h").agg(F.count("k").alias("n"), F.max("k").alias("keeper")).where(F.col("n") >= min_docs))
     # A key with over a thousandth of the rows that match any is joined by broadcast: there are at most a thousand of those.
     total = F.broadcast(common.agg((F.sum("n") / 1000).alias("least")))
     ranked = common.crossJoin(total)
