@@ -78,6 +78,8 @@ for _s in ("broadcast", "shuffle_hash", "merge"):
         lambda s, d, k=_s: rel.join(T(s, d, "supplier"), T(s, d, "nation"), F.col("s_nationkey") == F.col("n_nationkey"), k).select("s_suppkey", "n_name", "s_acctbal"))
 op("join_nested_loop", "SELECT c_custkey, s_suppkey FROM customer JOIN supplier ON c_nationkey = s_nationkey AND c_acctbal < s_acctbal WHERE c_nationkey = 3")(
     lambda s, d: T(s, d, "customer").where("c_nationkey = 3").join(T(s, d, "supplier"), (F.col("c_nationkey") == F.col("s_nationkey")) & (F.col("c_acctbal") < F.col("s_acctbal"))).select("c_custkey", "s_suppkey"))
+op("join_nested_loop_whole", "SELECT c_custkey, n_nationkey FROM customer JOIN nation ON c_nationkey < n_nationkey")(
+    lambda s, d: rel.join(T(s, d, "customer"), T(s, d, "nation"), F.col("c_nationkey") < F.col("n_nationkey"), "broadcast").select("c_custkey", "n_nationkey"))
 op("join_cross", "SELECT r_name, event_type FROM region, (SELECT DISTINCT event_type FROM events)")(lambda s, d: T(s, d, "region").crossJoin(F.broadcast(T(s, d, "events").select("event_type").distinct())).select("r_name", "event_type"))
 for _h, _n in (("left_semi", "IN"), ("left_anti", "NOT IN")):
     op(f"join_{_h[5:]}", f"SELECT c_custkey FROM customer WHERE c_custkey {_n} (SELECT o_custkey FROM orders)")(
