@@ -5,8 +5,9 @@ starts differ by the factor 1/t^2; a set is indexed in its own band and, if smal
 the universe (of hashes) is cut into segments; partners agree in one of any choice of segments that covers H + 1 units, where a segment
 compared exactly covers one unit, and one compared up to one deletion covers two.
 
-Allocation by cost: a band uses either one-deletion neighbourhoods of few long segments, or exact segments with some to spare, by
-what each is estimated to emit. The lengths of all lists are then counted, and a set asks for all of its segments but its spare
+Allocation by size: a band of 2 to 4 units uses one-deletion neighbourhoods of few long segments, any other exact segments, with some
+to spare where there are more units. This is a fixed rule, not an estimate of cost: deletions list every member once more, which took too
+much disk in longer sets. The lengths of all lists are then counted, and a set asks for all of its segments but its spare
 number of longest lists (which chance or a passage common to many makes long), leaving those to others (`passive`). Every such
 choice covers H + 1 units, so no link is lost.
 
