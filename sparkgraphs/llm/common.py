@@ -66,7 +66,10 @@ def held_out(doc_id: Column) -> Column:
 
 
 def bounded_sample(docs: DataFrame, labelled: DataFrame, label: str, *, rows: int, max_bytes: int) -> tuple[list, list]:
-    """Texts and labels of at most `rows` rows and `max_bytes` of text, for fitting: (doc_id, label) rows in the order of a hash of their id."""
+    """Texts and labels of at most `rows` rows and `max_bytes` of text, for fitting: (doc_id, label) rows in the order of a hash of their id.
+
+    A text that would overflow what is left of `max_bytes` is passed over, and the next ones are tried.
+    """
     spark = docs.sparkSession
     kind = labelled.schema[label].dataType.simpleString()
     ids = labelled.select("doc_id", label).orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows).collect()
@@ -74,13 +77,14 @@ def bounded_sample(docs: DataFrame, labelled: DataFrame, label: str, *, rows: in
         return [], []
     places = spark.createDataFrame([(r[0], r[1], i) for i, r in enumerate(ids)], f"doc_id long, label {kind}, place int")
     taken = docs.select("doc_id", "text").join(F.broadcast(places), "doc_id")
-    total, last = 0, -1
-    for r in sorted(taken.select("place", F.coalesce(F.octet_length("text"), F.lit(0)).alias("n")).collect()):
-        total += r.n
-        if total > max_bytes:
-            break
-        last = r.place
-    got = taken.where(F.col("place") <= last).select("place", "text", "label").toArrow().sort_by("place")
+    total, chosen = 0, []
+    for r in sorted(taken.groupBy("place").agg(F.sum(F.coalesce(F.octet_length("text"), F.lit(0))).alias("n")).collect()):
+        if total + r.n <= max_bytes:
+            total += r.n
+            chosen.append((r.place,))
+    if not chosen:
+        return [], []
+    got = taken.join(F.broadcast(spark.createDataFrame(chosen, "place int")), "place").select("place", "text", "label").toArrow().sort_by("place")
     return got["text"].to_pylist(), got["label"].to_pylist()
 
 
