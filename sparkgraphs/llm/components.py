@@ -1,42 +1,38 @@
-"""Connected components of link tables: hook to the smallest neighbour, shortcut, contract, repeat.
+"""Connected components of link tables by alternating stars: larger neighbours go to a vertex's smallest, then smaller ones do.
 
-Every round is a written table in the shared folder; a round leaves at most half of the vertices that still have links, and links
-inside a component vanish when it is contracted. Minima are pre-aggregated before they are shuffled, so a vertex with very many
-links is no hot key there; joins on vertices are plain shuffle joins that adaptive execution can split.
+A round is one written table in the shared folder with its counters observed as it is written; the number of rounds grows with the
+logarithm of a component's size. Minima are pre-aggregated before they are shuffled, so a vertex with very many links is no hot key
+there; joins on vertices are plain shuffle joins that adaptive execution can split.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from .common import Stages
 
 
-def _sized(stages: Stages, df: DataFrame, rows: int) -> DataFrame:
-    """Small tables go to few files."""
-    return stages.keep(df, max(1, min(64, rows // 50_000 + 1)) if rows < 3_000_000 else None)
+def _written(stages: Stages, stars: DataFrame, last: int | None = None) -> tuple[DataFrame, int, int]:
+    """The written table (u, m), its number of rows and a sum that depends on its rows alone. last: rows before; small tables go to few files."""
+    watch = Observation()
+    seen = stars.observe(watch, F.count(F.lit(1)).alias("rows"), F.coalesce(F.bit_xor(F.xxhash64("u", "m")), F.lit(0)).alias("sign"))
+    kept = stages.keep(seen, max(1, min(64, last // 50_000 + 1)) if last is not None and last < 3_000_000 else None)
+    return kept, watch.get["rows"], watch.get["sign"]
 
 
 def components(links: DataFrame, stages: Stages, a: str = "a", b: str = "b") -> DataFrame:
     """(v, component): the smallest vertex reachable, for every vertex that has a link."""
-    edges = stages.keep(links.select(F.least(a, b).cast("long").alias("a"), F.greatest(a, b).cast("long").alias("b")).where("a < b").distinct())
-    left = edges.count()
-    label = None
-    while left:
-        both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        parent = _sized(stages, both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("p")).select(F.col("a").alias("v"), "p"), left)
-        while True:
-            up = parent.select(F.col("v").alias("p"), F.col("p").alias("pp"))
-            jumped = _sized(stages, parent.join(up, "p").select("v", F.col("pp").alias("p"), (F.col("pp") != F.col("p")).alias("moved")), left)
-            moved = not jumped.where("moved").isEmpty()
-            parent = jumped.drop("moved")
-            if not moved:
-                break
-        label = parent if label is None else _sized(stages, label.join(parent.select(F.col("v").alias("p"), F.col("p").alias("r")), "p", "left").select("v", F.coalesce("r", "p").alias("p")), left)
-        ends = edges.join(parent.select(F.col("v").alias("a"), F.col("p").alias("x")), "a").join(parent.select(F.col("v").alias("b"), F.col("p").alias("y")), "b")
-        edges = _sized(stages, ends.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).where("a < b").distinct(), left)
-        left = edges.count()
-    if label is None:
-        return edges.select(F.col("a").alias("v"), F.col("b").alias("component"))
-    return label.withColumnRenamed("p", "component")
+    first = links.select(F.greatest(a, b).cast("long").alias("u"), F.least(a, b).cast("long").alias("m")).where("u > m").distinct()
+    edges, rows, sign = _written(stages, first)
+    last = None
+    while rows and sign != last:
+        last = sign
+        both = edges.unionByName(edges.select(F.col("m").alias("u"), F.col("u").alias("m")))
+        least = both.groupBy("u").agg(F.least(F.min("m"), F.col("u")).alias("low"))
+        large = both.where("m > u").join(least, "u").select(F.col("m").alias("u"), F.col("low").alias("m")).distinct()
+        below = large.groupBy("u").agg(F.min("m").alias("low"))
+        # a hub of the next round is the smallest of its neighbours: what it hands down is written once
+        small = large.join(below, "u").where("m > low").select(F.col("m").alias("u"), F.col("low").alias("m")).unionByName(below.select("u", F.col("low").alias("m")))
+        edges, rows, sign = _written(stages, small.distinct(), rows)
+    return edges.groupBy(F.col("u").alias("v")).agg(F.min("m").alias("component")).unionByName(edges.select(F.col("m").alias("v"), F.col("m").alias("component")).distinct())

@@ -5,21 +5,25 @@ starts differ by the factor 1/t^2; a set is indexed in its own band and, if smal
 the universe (of hashes) is cut into segments; partners agree in one of any choice of segments that covers H + 1 units, where a segment
 compared exactly covers one unit, and one compared up to one deletion covers two.
 
-Allocation by size: a band of 2 to 4 units uses one-deletion neighbourhoods of few long segments, any other exact segments, with some
-to spare where there are more units. This is a fixed rule, not an estimate of cost: deletions list every member once more, which took too
-much disk in longer sets. The lengths of all lists are then counted, and a set asks for all of its segments but its spare
-number of longest lists (which chance or a passage common to many makes long), leaving those to others (`passive`). Every such
-choice covers H + 1 units, so no link is lost.
-
-Signatures that a few sets share give candidate pairs. Pairs go to the group of their signature's smallest document, where each
-text's set is built once, and pairs already connected are not compared again. Signatures that many sets share (large groups of
-near copies) connect their documents into clusters; a cluster is split by bands of size and cut into blocks by a hash, equal sets
-count once, and each pair of blocks is compared exactly by a matrix product that emits a spanning forest of its links, never the
-pairs. The components of all links are the result. All comparisons are exact on 64-bit hashes of n-grams.
+Allocation: bands of 2 to 4 units use one-deletion neighbourhoods of few long segments, others exact segments with some to spare. In
+the latter a set asks for the segments whose lists cost least: all lists are counted, and the `spare` longest ones (which chance or
+a passage common to many makes long) are left to others (`passive`). Every such choice covers H + 1 units, so no link is lost.
+
+Equal sets are one node from the start, named by 64 bits of their digest; copies cost a row each and nothing more. Signatures are
+counted first, pre-aggregated, and only those that two nodes share and one asks for are joined back (adaptive execution splits a
+hot signature in that join). Pairs of short lists are verified in groups, where each set is built once, and pairs connected by
+then are not compared again.
+
+Nodes of long lists are verified by rarity: their n-grams are counted among themselves, a node with over (1-t) of its n-grams
+in no other node has no partner and is gone, and of the others only the rarest n-grams that a partner must meet (the prefix) are
+listed. Short prefix lists are paired under bounds of size and position. In a long one all are compared with one leader; copies
+of one another are connected by that. If a list still holds several components, its nodes outside the largest one are compared in
+blocks with all of the list, by matrix products that emit a spanning forest. The components of all links are the result. All comparisons are
+exact on 64-bit hashes of n-grams.
 
 Defined cases: null texts and texts without words have an empty set and are linked with nothing; texts of fewer than n words have
-their whole word sequence as one n-gram; equal texts are linked; rows that share a doc_id count as one document with the links of
-each; rows without doc_id have no component; empty tables give empty results; extra columns are ignored.
+their whole word sequence as one n-gram; equal texts are linked; rows that share a doc_id are one document, which has the links of
+each of its rows; rows without doc_id have no component; empty tables give empty results; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -27,12 +31,13 @@ from __future__ import annotations
 import bisect
 import hashlib
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import Stages, bounded_batches, map_arrow, release, streamed_groups, table
@@ -40,8 +45,10 @@ from .components import components
 from .token_counts import Memo
 
 BLOCK_DOCS, BLOCK_SHINGLES = 512, 1 << 18
-#: Up to so many sets of one signature are paired; more make a cluster that is compared in blocks.
+#: Up to so many sets of one list are paired; longer lists have leaders and blocks.
 SMALL_LIST = 32
+#: A verification group holds about so many pairs with one leader.
+LEADER_PAIRS = 4096
 U = np.uint64
 #: Odd multipliers of the mixing functions (fixed values).
 M1, M2, M3 = U(0x9E3779B97F4A7C15), U(0xBF58476D1CE4E5B9), U(0x94D049BB133111EB)
@@ -197,108 +204,193 @@ def block_links(left: list[tuple[int, np.ndarray]], right: list[tuple[int, np.nd
 #: What a row of signature_rows tells in `spare`: an index-only signature, or a document; else how many a set need not ask for.
 INDEX_ONLY, DOCUMENT = -1, -2
 SEEN = 1 << 17
+NODE_ROWS = "sig long, node long, spare int, n int, doc long"
 
 
-def signature_rows(docs: DataFrame, n: int, percent: int, key: str, text: str) -> DataFrame:
-    """In one pass over the texts: a row for each document (its set's size n and fingerprint f1, f2, dealt by its id), and a row for
-    each signature of its set. Of equal sets a task lists the first one's signatures only."""
+def node_of(hashes: np.ndarray, doc: int | None) -> int:
+    """The 64-bit name of a set; an empty one is its document's own."""
+    if not len(hashes):
+        return int(mix(np.array([doc or 0], np.int64).view(U) ^ M3).view(np.int64)[0])
+    return int.from_bytes(hashlib.blake2b(hashes.tobytes(), digest_size=8).digest(), "little", signed=True)
+
+
+def signature_rows(docs: DataFrame, n: int, percent: int, key: str, text: str, documents: bool) -> DataFrame:
+    """A row for each signature of each node, of equal sets in a task once; with `documents` also one for each row of `docs`, dealt by its id."""
 
     def body(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler, bands, seen = Shingler(n), Bands(percent), {}
         for b in batches:
             ids = b.column(0).to_pylist()
-            sigs, owners, counts, spares, sizes, prints = [], [], [], [], [], []
+            sigs, owners, counts, spares, widths, nodes, sizes = [], [], [], [], [], [], []
             for i, t in zip(ids, b.column(1).to_pylist(), strict=True):
                 s = shingler.shingles(t)
-                d = hashlib.blake2b(s.tobytes(), digest_size=16).digest()
+                node = node_of(s, i)
                 sizes.append(len(s))
-                prints.append(d)
-                if not len(s) or i is None or d in seen:
+                nodes.append(node)
+                if not len(s) or i is None or node in seen:
                     continue
                 if len(seen) >= SEEN:
                     seen.clear()
-                seen[d] = None
+                seen[node] = None
                 for own, band in enumerate(bands.of(len(s))):
                     sig, spare = bands.signatures(s, band)
                     sigs.append(sig)
-                    owners.append(i)
+                    owners.append(node)
                     counts.append(len(sig))
                     spares.append(INDEX_ONLY if own else spare)
-            halves = np.frombuffer(b"".join(prints), np.int64).reshape(-1, 2)
-            here = mix(np.array([i or 0 for i in ids], np.int64).view(U) ^ M1).view(np.int64)
-            yield pa.RecordBatch.from_pydict({"sig": pa.array(here), "doc": pa.array(ids, pa.int64()), "spare": pa.array(np.full(len(ids), DOCUMENT, np.int32)), "n": pa.array(sizes, pa.int32()), "f1": pa.array(halves[:, 0]), "f2": pa.array(halves[:, 1])})
+                    widths.append(len(s))
+            if documents:
+                here = mix(np.array([i or 0 for i in ids], np.int64).view(U) ^ M1).view(np.int64)
+                kind = np.full(len(ids), DOCUMENT, np.int32)
+                yield pa.RecordBatch.from_pydict({"sig": pa.array(here), "node": pa.array(nodes, pa.int64()), "spare": pa.array(kind), "n": pa.array(sizes, pa.int32()), "doc": pa.array(ids, pa.int64())})
             if not sigs:
                 continue
-            columns = {"sig": np.concatenate(sigs).view(np.int64), "doc": np.repeat(np.array(owners, np.int64), counts), "spare": np.repeat(np.array(spares, np.int32), counts)}
+            each = lambda values, kind: np.repeat(np.array(values, kind), counts)
+            columns = {"sig": np.concatenate(sigs).view(np.int64), "node": each(owners, np.int64), "spare": each(spares, np.int32), "n": each(widths, np.int32)}
             for at in range(0, len(columns["sig"]), 50_000):
                 part = {k: pa.array(v[at : at + 50_000]) for k, v in columns.items()}
-                rows = len(part["sig"])
-                yield pa.RecordBatch.from_pydict(part | {"n": pa.nulls(rows, pa.int32()), "f1": pa.nulls(rows, pa.int64()), "f2": pa.nulls(rows, pa.int64())})
+                yield pa.RecordBatch.from_pydict(part | {"doc": pa.nulls(len(part["sig"]), pa.int64())})
 
-    return map_arrow(docs.select(F.col(key).cast("long").alias("doc"), F.col(text).cast("binary").alias("t")), body, "sig long, doc long, spare int, n int, f1 long, f2 long")
+    return map_arrow(docs.select(F.col(key).cast("long").alias("doc"), F.col(text).cast("binary").alias("t")), body, NODE_ROWS)
 
 
-def sets_of(docs: DataFrame, members: DataFrame, n: int, key: str, text: str) -> DataFrame:
-    """(every column of members, s): the sets of the documents named there; members: doc and more."""
-    names = [c for c in members.columns if c != "doc"]
-    # members grow with the corpus, so they are never broadcast: one shuffle of the texts at every size
-    joined = docs.select(F.col(key).cast("long").alias("doc"), F.col(text).cast("binary").alias("t")).join(members.hint("merge"), "doc")
+def sets_of(docs: DataFrame, wanted: DataFrame, n: int, key: str, text: str) -> DataFrame:
+    """(node, n, long, s): the sets of the nodes in `wanted` (doc, node, long), built from the texts of the documents named there."""
+    # what is wanted grows with the corpus, so it is never broadcast: one shuffle of the texts at every size
+    joined = docs.select(F.col(key).cast("long").alias("doc"), F.col(text).cast("binary").alias("t")).join(wanted.hint("merge"), "doc")
 
     def body(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler = Shingler(n)
         for b in batches:
-            sets = [shingler.shingles(t).view(np.int64) for t in b.column("t").to_pylist()]
-            offsets = np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int32)
-            column = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(sets) if sets else np.zeros(0, np.int64)))
-            yield pa.RecordBatch.from_arrays([b.column("doc"), *(b.column(c) for c in names), column], names=["doc", *names, "s"])
+            sets = [shingler.shingles(t) for t in b.column("t").to_pylist()]
+            # another row of the same document may hold another text
+            own = [i for i, (s, d, node) in enumerate(zip(sets, b.column("doc").to_pylist(), b.column("node").to_pylist(), strict=True)) if node_of(s, d) == node]
+            sets = [sets[i].view(np.int64) for i in own]
+            sizes = np.array([len(s) for s in sets], np.int32)
+            offsets = np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)
+            lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate([np.zeros(0, np.int64), *sets])))
+            at = pa.array(own, pa.int64())
+            yield pa.RecordBatch.from_arrays([b.column("node").take(at), pa.array(sizes), b.column("long").take(at), lists], names=["node", "n", "long", "s"])
 
-    kinds = ", ".join(f"{c} {members.schema[c].dataType.simpleString()}" for c in names)
-    return map_arrow(joined, body, f"doc long, {kinds}, s array<long>")
+    return map_arrow(joined.select("doc", "t", "node", "long"), body, "node long, n int, long boolean, s array<long>")
 
 
 def as_set(column: pa.ChunkedArray, i: int) -> np.ndarray:
     return column[i].values.to_numpy(zero_copy_only=False).view(U)
 
 
+LINKS = "a long, b long"
+
+
+def link_batch(links: list[tuple[int, int]]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_pydict({"a": pa.array([x for x, _ in links], pa.int64()), "b": pa.array([y for _, y in links], pa.int64())})
+
+
 def pair_links(sets: DataFrame, pairs: DataFrame, percent: int) -> DataFrame:
-    """Links among listed pairs. sets: (grp, doc, s); pairs: (grp, a, b)."""
-    rows = sets.select("grp", F.lit(0).alias("kind"), F.col("doc").alias("a"), F.lit(None).cast("long").alias("b"), "s").unionByName(pairs.select("grp", F.lit(1).alias("kind"), "a", "b", F.lit(None).cast("array<long>").alias("s")))
+    """Links among listed pairs. sets: (grp, node, s); pairs: (grp, a, b)."""
+    none = F.lit(None)
+    rows = sets.select("grp", F.lit(0).alias("kind"), F.col("node").alias("a"), none.cast("long").alias("b"), "s").unionByName(pairs.select("grp", F.lit(1).alias("kind"), "a", "b", none.cast("array<long>").alias("s")))
 
     def body(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for _, g in streamed_groups(batches, ["grp"]):
             kind, a, b, s = g["kind"].to_pylist(), g["a"].to_pylist(), g["b"].to_pylist(), g["s"]
-            own: dict[int, list[np.ndarray]] = {}
+            own: dict[int, np.ndarray] = {}
             forest, out = Forest(), []
             for i, k in enumerate(kind):
                 if k == 0:
-                    own.setdefault(a[i], []).append(as_set(s, i))
-                elif forest.root(a[i]) != forest.root(b[i]) and any(linked(x, y, percent) for x in own.get(a[i], ()) for y in own.get(b[i], ())):
+                    own[a[i]] = as_set(s, i)
+                elif forest.root(a[i]) != forest.root(b[i]) and linked(own[a[i]], own[b[i]], percent):
                     forest.join(a[i], b[i])
                     out.append((a[i], b[i]))
             if out:
-                yield pa.RecordBatch.from_pydict({"a": pa.array([x for x, _ in out], pa.int64()), "b": pa.array([y for _, y in out], pa.int64())})
+                yield link_batch(out)
+
+    return map_arrow(rows.repartition("grp").sortWithinPartitions("grp", "kind"), body, LINKS)
 
-    return map_arrow(rows.repartition("grp").sortWithinPartitions("grp", "kind"), body, "a long, b long")
+
+def block_rows(sets: DataFrame) -> DataFrame:
+    """sets: (grp, main, blocks, rest, node, s). Nodes outside the main component (of `rest` blocks) meet one another (kind 0) and those
+    of the main component (kind 1, of `blocks` blocks), which are connected already and do not meet each other."""
+    mine = F.when(F.col("main"), F.pmod(F.xxhash64("node"), F.col("blocks"))).otherwise(F.pmod(F.xxhash64("node"), F.col("rest")))
+    upto = lambda c: F.sequence(F.lit(0).cast("long"), F.col(c) - 1)
+    none = F.array().cast("array<struct<kind:int,i:bigint,j:bigint,left:boolean>>")
+    place = lambda kind, i, j, left: F.struct(F.lit(kind).alias("kind"), i.alias("i"), j.alias("j"), left.alias("left"))
+    me = F.col("mine")
+    inner = F.transform(upto("rest"), lambda x: place(0, F.least(me, x), F.greatest(me, x), me <= x))
+    outer = F.when(F.col("blocks") > 0, F.transform(upto("blocks"), lambda x: place(1, x, me, F.lit(False)))).otherwise(none)
+    places = F.when(F.col("main"), F.transform(upto("rest"), lambda x: place(1, me, x, F.lit(True)))).otherwise(F.concat(inner, outer))
+    return sets.withColumn("mine", mine).select("grp", "node", "s", F.explode(places).alias("p")).select("grp", "p.kind", "p.i", "p.j", "p.left", "node", "s")
 
 
 def cluster_links(sets: DataFrame, percent: int) -> DataFrame:
-    """Links within large clusters. sets: (cluster, blocks, doc, s); each document goes to each pair of blocks that holds its own."""
-    mine = F.pmod(F.xxhash64("doc"), F.col("blocks"))
-    spread = sets.select("cluster", "doc", "s", mine.alias("mine"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other"))
-    spread = spread.select("cluster", F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"), "mine", "doc", "s")
+    """Links between the components of clusters, block by block."""
 
     def body(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for (_, i, j), g in streamed_groups(batches, ["cluster", "i", "j"]):
-            docs, mine, s = g["doc"].to_pylist(), g["mine"].to_pylist(), g["s"]
-            rows = [(d, as_set(s, k)) for k, d in enumerate(docs)]
-            if i == j:
+        for (_, kind, i, j), g in streamed_groups(batches, ["grp", "kind", "i", "j"]):
+            nodes, left, s = g["node"].to_pylist(), g["left"].to_pylist(), g["s"]
+            rows = [(d, as_set(s, k)) for k, d in enumerate(nodes)]
+            if kind == 0 and i == j:
                 out = block_links(rows, None, percent)
             else:
-                out = block_links([r for r, m in zip(rows, mine, strict=True) if m == i], [r for r, m in zip(rows, mine, strict=True) if m == j], percent)
+                out = block_links([r for r, x in zip(rows, left, strict=True) if x], [r for r, x in zip(rows, left, strict=True) if not x], percent)
             if out:
-                yield pa.RecordBatch.from_pydict({"a": pa.array([x for x, _ in out], pa.int64()), "b": pa.array([y for _, y in out], pa.int64())})
-
-    return map_arrow(spread.repartition("cluster", "i", "j").sortWithinPartitions("cluster", "i", "j"), body, "a long, b long")
+                yield link_batch(out)
+
+    keys = ["grp", "kind", "i", "j"]
+    return map_arrow(block_rows(sets).repartition(*keys).sortWithinPartitions(*keys), body, LINKS)
+
+
+def listed_pairs(lists: DataFrame, key: str, percent: int, possible: Callable[[Column, Column], Column] | None = None) -> DataFrame:
+    """(a, b, grp) of lists (key, passive, node, n[, pos]) of at most SMALL_LIST rows: pairs of which one asks and whose sizes fit.
+
+    A list is verified in the group of its first node; the lists of a long text are dealt to several groups.
+    """
+    rest = [c for c in ("pos",) if c in lists.columns]
+    each = lists.groupBy(key).agg(F.sort_array(F.collect_list(F.struct("passive", "node", "n", *rest))).alias("l"))
+    fits = lambda x, y: F.least(x["n"], y["n"]) * 100 >= F.greatest(x["n"], y["n"]) * percent
+    good = (lambda x, y: fits(x, y) & possible(x, y)) if possible else fits
+    pair = lambda x, y: F.struct(F.least(x["node"], y["node"]).alias("a"), F.greatest(x["node"], y["node"]).alias("b"))
+    after = lambda x, i: F.transform(F.filter(F.slice("l", i + 2, F.size("l")), lambda y: good(x, y)), lambda y: pair(x, y))
+    # those that ask come first, and are paired with all behind them
+    pairs = F.flatten(F.transform(F.filter("l", lambda x, i: ~x["passive"]), after))
+    first = F.col("l")[0]
+    grp = F.xxhash64(first["node"], F.pmod(F.col(key), (F.floor(first["n"] / 512) + 1).cast("long")))
+    return each.select(grp.alias("grp"), F.explode(pairs).alias("p")).select("p.a", "p.b", "grp")
+
+
+def prefix_lists(sets: DataFrame, percent: int) -> DataFrame:
+    """(h, node, n, pos): of each node its rarest n-grams, as many as any partner must meet one of; pos is their place in the order of rarity.
+
+    N-grams are counted among these nodes. Those met once take the first places and are not listed.
+    """
+    tokens = sets.select("node", "n", F.explode("s").alias("h"))
+    counts = sets.select(F.explode("s").alias("h")).groupBy("h").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
+    known = tokens.join(counts, "h").groupBy("node", "n").agg(F.sort_array(F.collect_list(F.struct("df", "h"))).alias("l"))
+    alone = F.col("n") - F.size("l")
+    most = F.col("n") - F.expr(f"(n * {percent} + 99) div 100").cast("int") + 1
+    listed = known.select("node", "n", alone.alias("alone"), F.slice("l", 1, F.greatest(most - alone, F.lit(0))).alias("l"))
+    return listed.select("node", "n", "alone", F.posexplode("l").alias("at", "x")).select(F.col("x.h").alias("h"), "node", "n", (F.col("alone") + F.col("at")).alias("pos"))
+
+
+def unsettled_blocks(long: DataFrame, linked_so_far: DataFrame, percent: int, stages: Stages) -> DataFrame | None:
+    """(grp, main, blocks, rest, node) of long lists (h, node, n) that still hold several components."""
+    parts = components(linked_so_far, stages).select(F.col("v").alias("node"), "component")
+    held = stages.keep(long.select("h", "node", "n").join(parts, "node", "left").select("h", "node", "n", F.coalesce("component", "node").alias("part")))
+    open_ = stages.keep(held.groupBy("h").agg(F.min("part").alias("lo"), F.max("part").alias("hi"), F.min("node").alias("head")).where("lo < hi").select("h", "head"))
+    if open_.isEmpty():
+        return None
+    left = stages.keep(held.join(open_, "h"))
+    clusters = components(left.select(F.col("node").alias("a"), F.col("head").alias("b")), stages)
+    # within a cluster only sets of about one size can be linked: it is split by bands of the factor t, and a set goes to its own
+    # band and the one below, where a smaller partner may be
+    band = F.floor(F.log(F.col("n").cast("double")) / math.log(100 / percent * 1.0001))
+    sized = clusters.withColumnRenamed("v", "node").join(left.select("node", "n", "part").distinct(), "node")
+    sized = stages.keep(sized.select("node", "n", "part", "component", F.explode(F.array(band, band - 1)).alias("band")).select("node", "n", "part", F.xxhash64("component", "band").alias("grp")))
+    parts_of = sized.groupBy("grp", "part").agg(F.count(F.lit(1)).alias("c"), F.sum("n").alias("mass"))
+    pieces = lambda c, m: F.greatest(F.ceil(c / BLOCK_DOCS), F.ceil(m / BLOCK_SHINGLES)).cast("long")
+    totals = parts_of.groupBy("grp").agg(F.max(F.struct("c", "part", "mass")).alias("top"), F.sum("c").alias("c"), F.sum("mass").alias("mass")).where("c > top.c")
+    totals = totals.select("grp", F.col("top.part").alias("main_part"), pieces(F.col("top.c"), F.col("top.mass")).alias("blocks"), pieces(F.col("c") - F.col("top.c"), F.col("mass") - F.col("top.mass")).alias("rest"))
+    return sized.join(totals, "grp").select("grp", (F.col("part") == F.col("main_part")).alias("main"), "blocks", "rest", "node")
 
 
 def similar_documents(docs: DataFrame, *, n: int = 5, percent: int = 80, key: str = "doc_id", text: str = "text", stages: Stages | None = None) -> DataFrame:
@@ -306,61 +398,56 @@ def similar_documents(docs: DataFrame, *, n: int = 5, percent: int = 80, key: st
     spark = docs.sparkSession
     stages = stages or Stages(spark, "ngrams")
     bounded_batches(spark)
-    by_sig = Window.partitionBy("sig")
-    rows = signature_rows(docs, n, percent, key, text).withColumns({"c": F.count(F.lit(1)).over(by_sig), "asked": F.max("spare").over(by_sig)})
-    table_of = stages.keep(rows.where(f"spare = {DOCUMENT} OR (c > 1 AND asked >= 0)").drop("asked"))
+    # signatures that several nodes share and one of them asks for
+    counted = signature_rows(docs, n, percent, key, text, documents=False).groupBy("sig").agg(F.min("node").alias("lo"), F.max("node").alias("hi"), F.max("spare").alias("asked"), F.count(F.lit(1)).alias("c"))
+    alive = stages.keep(counted.where("lo < hi AND asked >= 0").select("sig", "c"))
     release(spark)
-    sizes = table_of.where(f"spare = {DOCUMENT}").select("doc", F.col("n").cast("long").alias("n_shingles"), "f1", "f2")
-    classes = sizes.where("n_shingles > 0 AND doc IS NOT NULL").groupBy("f1", "f2", "n_shingles").agg(F.min("doc").alias("rep"), F.count(F.lit(1)).alias("copies"))
-    classes = stages.keep(classes)
-    keys = ["f1", "f2", "n_shingles"]
-    # equal sets share all signatures: the smallest document stands for all. A class of over a thousandth of the rows is a hot key: there
-    # are at most a thousand of those, which are broadcast
-    total = F.broadcast(sizes.agg((F.count(F.lit(1)) / 1000).alias("least")))
-    common = classes.where("copies > 1").crossJoin(total)
-    hot_class = F.broadcast(common.where("copies > least").select(*keys, F.col("rep").alias("hot")))
-    cold_class = common.where("copies <= least").select(*keys, F.col("rep").alias("cold"))
-    other = sizes.join(hot_class, keys, "left").join(cold_class, keys, "left").select("doc", F.coalesce("hot", "cold").alias("rep")).where("rep IS NOT NULL AND rep <> doc")
-    other = stages.keep(other.groupBy("doc").agg(F.min("rep").alias("rep")))
-    lists = table_of.where(f"spare > {DOCUMENT}").select("sig", "doc", "spare", "c").join(other, "doc", "left")
-    lists = lists.groupBy("sig", F.coalesce("rep", "doc").alias("doc")).agg(F.max("spare").alias("spare"), F.max("c").alias("c"))
+    rows = signature_rows(docs, n, percent, key, text, documents=True).join(alive.hint("shuffle_hash"), "sig", "left")
+    table_of = stages.keep(rows.where(f"spare = {DOCUMENT} OR c IS NOT NULL"))
+    release(spark)
+    names = table_of.where(f"spare = {DOCUMENT}").select("doc", "node", "n")
+    classes = stages.keep(names.where("doc IS NOT NULL").groupBy("node").agg(F.min("doc").alias("rep"), F.count(F.lit(1)).alias("copies")))
     # a set asks for all of its own signatures but the `spare` longest lists
-    mine = Window.partitionBy("doc", F.col("spare") >= 0).orderBy(F.desc("c"), "sig")
-    asked = lists.withColumn("passive", (F.col("spare") < 0) | (F.row_number().over(mine) <= F.col("spare")))
-    shared = asked.withColumns({"c": F.count(F.lit(1)).over(by_sig), "idle": F.min("passive").over(by_sig)}).where("c > 1 AND NOT idle")
-    shared = stages.keep(shared.select("sig", "doc", "passive", "c"))
-    ordered = by_sig.orderBy("passive", "doc")
-    few = shared.where(F.col("c") <= SMALL_LIST)
-    before = F.collect_list(F.when(~F.col("passive"), F.col("doc"))).over(ordered.rowsBetween(-SMALL_LIST, -1))
-    first = F.first("doc").over(ordered)
-    pairs = few.select("doc", before.alias("before"), first.alias("grp")).where(F.size("before") > 0).select(F.explode("before").alias("x"), "doc", "grp")
-    pairs = pairs.select(F.least("x", "doc").alias("a"), F.greatest("x", "doc").alias("b"), "grp").where("a < b").groupBy("a", "b").agg(F.min("grp").alias("grp"))
-    pairs = stages.keep(pairs)
-    members = pairs.select(F.col("a").alias("doc"), "grp").unionByName(pairs.select(F.col("b").alias("doc"), "grp")).distinct()
-    many = shared.where(F.col("c") > SMALL_LIST)
-    heads = many.groupBy("sig").agg(F.min("doc").alias("head"))
-    clusters = components(many.join(heads, "sig").select(F.col("doc").alias("a"), F.col("head").alias("b")), stages)
-    # within a cluster only sets of about one size can be linked: it is split by bands of the factor t, and a set goes to its own
-    # band and the one below, where a smaller partner may be
-    band = F.floor(F.log(F.col("n_shingles").cast("double")) / math.log(100 / percent * 1.0001))
-    sized = clusters.withColumnRenamed("v", "doc").join(sizes.select("doc", "n_shingles"), "doc").distinct()
-    sized = sized.select("doc", "n_shingles", "component", F.explode(F.array(band, band - 1)).alias("band")).select("doc", "n_shingles", F.xxhash64("component", "band").alias("grp"))
-    blocks = sized.groupBy("grp").agg(F.count(F.lit(1)).alias("docs"), F.sum("n_shingles").alias("mass")).where("docs > 1")
-    blocks = blocks.select("grp", F.greatest(F.ceil(F.col("docs") / BLOCK_DOCS), F.ceil(F.col("mass") / BLOCK_SHINGLES)).cast("long").alias("blocks"))
-    crowd = sized.join(blocks, "grp").select("doc", F.lit(1).alias("kind"), "grp", "blocks")
-    wanted = stages.keep(members.select("doc", F.lit(0).alias("kind"), "grp", F.lit(0).cast("long").alias("blocks")).unionByName(crowd.select("doc", "kind", "grp", "blocks")))
+    lists = table_of.where(f"spare > {DOCUMENT}").groupBy("sig", "node").agg(F.max("spare").alias("spare"), F.max("n").alias("n"), F.max("c").alias("c"))
+    mine = Window.partitionBy("node", F.col("spare") >= 0).orderBy(F.desc("c"), "sig")
+    asked = stages.keep(lists.withColumn("passive", (F.col("spare") < 0) | (F.row_number().over(mine) <= F.col("spare"))).select("sig", "node", "n", "passive"))
+    lengths = asked.groupBy("sig").agg(F.count(F.lit(1)).alias("c"), F.count_if(~F.col("passive")).alias("asking")).where("c > 1 AND asking > 0").select("sig", "c")
+    shared = stages.keep(asked.join(lengths, "sig"))
+    release(spark)
+    wanted = shared.groupBy("node").agg((F.max("c") > SMALL_LIST).alias("long")).join(classes, "node").select(F.col("rep").alias("doc"), "node", "long")
+    wanted = stages.keep(wanted)
     sets = stages.keep(sets_of(docs, wanted, n, key, text))
-    links = stages.keep(
-        pair_links(sets.where("kind = 0").select("grp", "doc", "s"), pairs, percent)
-        .unionByName(cluster_links(sets.where("kind = 1").select(F.col("grp").alias("cluster"), "blocks", "doc", "s"), percent))
-    )
-    groups = components(links, stages).select(F.col("v").alias("rep"), "component")
-    reach = classes.join(groups, "rep", "left").select(*keys, F.coalesce("component", "rep").alias("component"), "copies")
-    ranked = reach.where("copies > 1").crossJoin(total)
-    hot = F.broadcast(ranked.where("copies > least").select(*keys, F.col("component").alias("hot")))
-    cold = reach.where("copies = 1").select(*keys, "component").unionByName(ranked.where("copies <= least").select(*keys, "component"))
-    out = sizes.join(hot, keys, "left").join(cold, keys, "left")
-    return out.select("doc", "n_shingles", F.coalesce("hot", "component", "doc").alias("component"))
+    if sets.count() > wanted.count():  # a document repeated with its text
+        sets = stages.keep(sets.dropDuplicates(["node"]))
+    release(spark)
+    pairs = listed_pairs(shared.where(F.col("c") <= SMALL_LIST), "sig", percent)
+    rare = stages.keep(prefix_lists(sets.where("long"), percent))
+    rare = stages.keep(rare.join(rare.groupBy("h").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("pos", "node", "n")).alias("leader")).where("c > 1"), "h"))
+    # behind a pair's first common n-gram (which both list) there must be enough left of both for the overlap it needs
+    enough = lambda x, y: (F.least(x["n"] - x["pos"], y["n"] - y["pos"]) * (100 + percent)) >= (x["n"] + y["n"]) * percent
+    short = listed_pairs(rare.where(F.col("c") <= SMALL_LIST).withColumn("passive", F.lit(False)), "h", percent, enough)
+    long = rare.where(F.col("c") > SMALL_LIST)
+    lead = F.col("leader.node")
+    star = long.where((F.col("node") != lead) & (F.least("n", "leader.n") * 100 >= F.greatest("n", "leader.n") * percent))
+    star = star.select(F.least("node", lead).alias("a"), F.greatest("node", lead).alias("b"), F.xxhash64(lead, F.pmod(F.xxhash64("node"), F.ceil(F.col("c") / LEADER_PAIRS))).alias("grp"))
+    found = reduce(DataFrame.unionByName, (pairs, short, star)).groupBy("a", "b").agg(F.min("grp").alias("grp"))
+    pairs = stages.keep(found)
+    members = pairs.select(F.col("a").alias("node"), "grp").unionByName(pairs.select(F.col("b").alias("node"), "grp")).distinct()
+    links = stages.keep(pair_links(sets.select("node", "s").join(members, "node"), pairs, percent))
+    release(spark)
+    blocks = unsettled_blocks(long, links, percent, stages)
+    if blocks is not None:
+        links = links.unionByName(stages.keep(cluster_links(sets.select("node", "s").join(blocks, "node"), percent)))
+    # the rows of one document
+    several = names.where("doc IS NOT NULL").groupBy("doc").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo < hi").select("doc", "lo")
+    links = links.unionByName(names.join(several, "doc").select(F.col("lo").alias("a"), F.col("node").alias("b")).where("a <> b"))
+    groups = components(links, stages).select(F.col("v").alias("node"), F.col("component").alias("root"))
+    reach = stages.keep(classes.join(groups, "node", "left").select("node", "rep", "copies", F.coalesce("root", "node").alias("root"), F.col("root").isNotNull().alias("linked")))
+    least = reach.where("linked").groupBy("root").agg(F.min("rep").alias("least"))
+    told = reach.where("linked").join(least, "root").select("node", F.col("least").alias("component"))
+    told = stages.keep(told.unionByName(reach.where("NOT linked AND copies > 1").select("node", F.col("rep").alias("component"))))
+    out = names.join(told, "node", "left")
+    return out.select("doc", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("doc").isNotNull(), F.coalesce("component", "doc")).alias("component"))
 
 
 def keep_one_of_each(docs: DataFrame, *, n: int = 5, percent: int = 80, key: str = "doc_id", text: str = "text") -> DataFrame:
