@@ -28,8 +28,10 @@ def bounded_batches(spark: SparkSession, rows: int = TOKENIZER_ROWS) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or the context's own, or (only where neither is set) a new one."""
+    """The folder all executors share: spark.checkpoint.dir, or the context's own, or (on one machine, where neither is set) a new one."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not base and not spark.sparkContext.master.startswith("local["):
+        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
     if not base:
         base = tempfile.mkdtemp(prefix="llm-shared-")
         spark.sparkContext.setCheckpointDir(base)

@@ -7,8 +7,8 @@ hit names a small window, which bit-parallel edit distance (one machine-word-lik
 The items are broadcast: a benchmark is a fixed set, checked against `max_items_bytes`; beyond that they are taken in slices.
 
 Defined cases: normalisation lower-cases, keeps letters and digits and puts one blank between words, so an item or text without
-any is null-like and matches nothing; items of fewer than `min_chars` normalised characters match nothing; repeated items and
-rows each count; empty tables give no hits; extra columns of the documents pass through `drop_contaminated`.
+any is null-like and matches nothing; items too short for an edit match as whole words, exactly; items of fewer than `min_chars`
+normalised characters (by default none) match nothing; texts of any length are searched whole; repeated items and rows each count; empty tables give no hits; extra columns of the documents pass through `drop_contaminated`.
 """
 
 from __future__ import annotations
@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 
 from .common import bounded_batches, map_arrow, table
 
-ERROR_RATE, MIN_CHARS, MAX_ITEMS_BYTES = 0.05, 24, 64 << 20
+ERROR_RATE, MIN_CHARS, MAX_ITEMS_BYTES = 0.05, 1, 64 << 20
 RUN = re.compile(r"[^\W_]+")
 
 
@@ -65,6 +65,17 @@ def pattern_masks(pattern: str) -> dict[str, int]:
     return masks
 
 
+def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """Overlapping windows as one: each character is read once an item."""
+    out: list[tuple[int, int]] = []
+    for lo, hi in sorted(spans):
+        if out and lo <= out[-1][1]:
+            out[-1] = out[-1][0], max(hi, out[-1][1])
+        else:
+            out.append((lo, hi))
+    return out
+
+
 class ItemMatcher:
     def __init__(self, items: list[tuple[int, str | None]], error_rate: float = ERROR_RATE, min_chars: int = MIN_CHARS):
         self.items: list[tuple[int, str, int, dict[str, int]]] = []
@@ -74,6 +85,8 @@ class ItemMatcher:
             if len(text) < min_chars:
                 continue
             budget = int(error_rate * len(text))
+            if not budget:  # whole words: normalised texts are searched with a blank at both ends
+                text = f" {text} "
             k, n = len(self.items), len(text)
             self.items.append((ident, text, budget, pattern_masks(text)))
             for p in range(budget + 1):
@@ -88,8 +101,9 @@ class ItemMatcher:
     def matches(self, text: str) -> list[tuple[int, int]]:
         """(item, least distance) of the items that a normalised text holds within their budgets."""
         windows: dict[int, list[tuple[int, int]]] = {}
-        if not self.items:
+        if not self.items or not text:
             return []
+        text = f" {text} "
         for end, (size, places) in self.automaton.iter(text):
             for k, lo in places:
                 start = end - size + 1 - lo
@@ -97,12 +111,11 @@ class ItemMatcher:
         found = []
         for k, spans in windows.items():
             ident, item, budget, masks = self.items[k]
-            best, done = budget + 1, -1
-            for lo, hi in sorted(set(spans)):
-                if best == 0 or hi <= done:
-                    continue
-                got = best_match(item, text[max(0, lo) : hi], budget, masks)
-                best, done = min(best, got), max(done, hi if lo <= done else hi)
+            best = budget + 1
+            for lo, hi in merged(spans):
+                best = min(best, best_match(item, text[max(0, lo) : hi], budget, masks))
+                if best == 0:
+                    break
             if best <= budget:
                 found.append((ident, best))
         return sorted(found)

@@ -8,8 +8,8 @@ scored by a product of its presence matrix with that.
 Fitting uses at most `FIT_ROWS` rows and `FIT_BYTES` of text outside the held-out quarter, in the order of a hash of the id; every
 text is scored whole.
 
-Characters are lower-cased and fall into 64 symbols: letters a-z, the 36 commonest other letters of the fitting texts, any other
-letter, and everything else.
+Characters are lower-cased; a letter of any script is its own code point, and all that is no letter is one symbol. N-grams are named by
+a hash of 20 bits, of each length apart.
 
 Defined cases: null texts and texts without a letter are `und` with score 0; without any fitting rows all are; ties go to the first
 language in code order; repeated rows are scored alike; an empty table gives an empty result; extra columns pass through, but for
@@ -18,7 +18,7 @@ those named like the new ones, which are replaced.
 
 from __future__ import annotations
 
-from collections import Counter
+import functools
 from collections.abc import Iterator
 
 import numpy as np
@@ -29,37 +29,47 @@ from pyspark.sql import functions as F
 from .common import bounded_batches, bounded_sample, held_out, map_arrow, table
 
 FIT_ROWS, FIT_BYTES, LANDMARKS = 4_000, 24 << 20, 240
-SYMBOLS, OTHER = 64, 63
-SIZE = SYMBOLS + SYMBOLS**2 + SYMBOLS**3
+BITS = 20
+SIZE = 1 << BITS
+#: Odd multipliers of the hash, one for each place in an n-gram, and one for each length (fixed values).
+PLACES, LENGTHS = (0x9E3779B1, 0x85EBCA77, 0xC2B2AE3D), (0x27D4EB2F, 0x165667B1, 0x2C1B3C6D)
+
+
+@functools.cache
+def letters() -> np.ndarray:
+    """Whether each code point is a letter."""
+    return np.fromiter((chr(c).isalpha() for c in range(0x110000)), bool, 0x110000)
 
 
 class Presence:
     """Turns texts into sets of n-gram codes."""
 
-    def __init__(self, extra: str):
-        self.extra = extra
-        own = {c: 27 + i for i, c in enumerate(extra)} | {chr(97 + i): 1 + i for i in range(26)}
-        self.table = np.array([own.get(chr(c), OTHER if chr(c).isalpha() else 0) for c in range(0x10000)], np.uint8)
+    def __init__(self):
         self.flags = np.zeros(SIZE, np.uint8)
 
     def symbols(self, text: str) -> np.ndarray:
+        """Code points of letters, 1 for anything else."""
         points = np.frombuffer(text.lower().encode("utf-32-le", "surrogatepass"), np.uint32)
-        if len(points) and points.max() > 0xFFFF:
-            points = np.array([p if p <= 0xFFFF else (0x4E00 if chr(p).isalpha() else 0) for p in points.tolist()], np.uint32)
-        return self.table[points]
+        return np.where(letters()[points], points, np.uint32(1))
 
+    @np.errstate(over="ignore")
     def codes(self, text: str) -> list[np.ndarray]:
-        s = self.symbols(text).astype(np.int32)
-        two = (s[:-1] << 6) + s[1:] if len(s) > 1 else s[:0]
-        three = (two[:-1] << 6) + s[2:] if len(s) > 2 else s[:0]
-        return [s, two + SYMBOLS, three + (SYMBOLS + SYMBOLS**2)]
+        s = self.symbols(text)
+        out, mixed = [], np.zeros(len(s), np.uint32)
+        for n, (place, length) in enumerate(zip(PLACES, LENGTHS, strict=True)):
+            if len(s) <= n:
+                break
+            mixed = mixed[: len(s) - n] + s[n:] * np.uint32(place)
+            h = (mixed ^ (mixed >> np.uint32(15))) * np.uint32(length)
+            out.append((h ^ (h >> np.uint32(13))) >> np.uint32(32 - BITS))
+        return out
 
     def mark(self, text: str, columns: np.ndarray) -> tuple[np.ndarray, int, bool]:
         """Which of `columns` are present, the number of distinct n-grams, and whether there is a letter."""
         parts, flags = self.codes(text), self.flags
         for p in parts:
             flags[p] = 1
-        row, n, letter = flags[columns], int(np.count_nonzero(flags)), bool(flags[1:SYMBOLS].any())
+        row, n, letter = flags[columns], int(np.count_nonzero(flags)), any(map(str.isalpha, text))
         for p in parts:
             flags[p] = 0
         return row, n, letter
@@ -68,22 +78,26 @@ class Presence:
 class KernelModel:
     """languages, the columns (n-gram codes) the landmarks hold, and for each its contribution to each language's value."""
 
-    def __init__(self, languages: list[str], extra: str, columns: np.ndarray, matrix: np.ndarray):
-        self.languages, self.extra, self.columns, self.matrix = languages, extra, columns, matrix
-        self.presence = Presence(extra)
+    def __init__(self, languages: list[str], columns: np.ndarray, matrix: np.ndarray):
+        self.languages, self.columns, self.matrix = languages, columns, matrix
+        self.presence = Presence()
 
     def __reduce__(self):
-        return KernelModel, (self.languages, self.extra, self.columns, self.matrix)
+        return KernelModel, (self.languages, self.columns, self.matrix)
 
-    def predict(self, texts: list[str | None]) -> tuple[list[str], list[float]]:
+    def values(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+        """The regression's value of each text and language, and whether the text has a letter."""
         rows = np.zeros((len(texts), len(self.columns)), np.float32)
         sizes, letters = np.ones(len(texts)), np.zeros(len(texts), bool)
         for i, t in enumerate(texts):
             if t:
                 rows[i], sizes[i], letters[i] = self.presence.mark(t, self.columns)
+        return (rows @ self.matrix) / np.sqrt(sizes)[:, None], letters
+
+    def predict(self, texts: list[str | None]) -> tuple[list[str], list[float]]:
         if not self.languages:
             return ["und"] * len(texts), [0.0] * len(texts)
-        values = (rows @ self.matrix) / np.sqrt(sizes)[:, None]
+        values, letters = self.values(texts)
         best = values.argmax(1)
         odds = np.exp(6 * (values - values.max(1, keepdims=True)))
         share = 1 / odds.sum(1)
@@ -93,11 +107,9 @@ class KernelModel:
 def fit_kernel_model(texts: list[str], langs: list[str], *, landmarks: int = LANDMARKS, ridge: float = 1e-2, seed: int = 11) -> KernelModel:
     kept = [(t, y) for t, y in zip(texts, langs, strict=True) if t and y is not None]
     languages = sorted({y for _, y in kept})
-    letters = Counter(c for t, _ in kept for c in t.lower() if not c.isascii() and c.isalpha() and ord(c) < 0x10000)
-    extra = "".join(c for c, _ in letters.most_common(OTHER - 27))
     if not kept:
-        return KernelModel([], extra, np.zeros(0, np.int64), np.zeros((0, 0), np.float32))
-    presence, rng = Presence(extra), np.random.default_rng(seed)
+        return KernelModel([], np.zeros(0, np.int64), np.zeros((0, 0), np.float32))
+    presence, rng = Presence(), np.random.default_rng(seed)
     sets = [np.unique(np.concatenate(presence.codes(t))) for t, _ in kept]
     picked: list[int] = []  # an equal share of landmarks for each language
     for y in languages:
@@ -118,7 +130,7 @@ def fit_kernel_model(texts: list[str], langs: list[str], *, landmarks: int = LAN
         gram += phi.T @ phi
         target += phi.T @ y
     weights = np.linalg.solve(gram + ridge * len(kept) / len(picked) * np.eye(len(picked)), target)
-    return KernelModel(languages, extra, columns, (land.T @ (root @ weights)).astype(np.float32))
+    return KernelModel(languages, columns, (land.T @ (root @ weights)).astype(np.float32))
 
 
 def identify_language(docs: DataFrame, model: KernelModel, *, text: str = "text", keep_text: bool = True) -> DataFrame:

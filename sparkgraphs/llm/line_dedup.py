@@ -41,6 +41,7 @@ def dedup_lines(docs: DataFrame, *, key: str = "doc_id", text: str = "text", min
         F.col(key).alias("k"),
         F.explode(F.array_distinct(F.transform(F.filter(split_lines(text), long_enough), line_digest))).alias("h"),
     )
+    held = stages.keep(held)  # read three times: by keys, by frequent keys, by the rest
     common = stages.keep(held.distinct().groupBy("h").agg(F.count("k").alias("n"), F.max("k").alias("keeper")).where(F.col("n") >= min_docs))
     # A key with over a thousandth of the rows that match any is joined by broadcast: there are at most a thousand of those.
     total = F.broadcast(common.agg((F.sum("n") / 1000).alias("least")))

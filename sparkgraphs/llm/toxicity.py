@@ -5,7 +5,7 @@ bound; scoring covers all texts). Document labels become token labels by weak su
 labelled documents not explained so far and hardly occur in clean ones; their occurrences in toxic documents are the toxic tokens.
 The field has two states, an emission weight per known word or word beginning, a bias for all other words, and a transition matrix, fitted by
 gradient ascent of its likelihood on token windows. In a text, runs of unknown words are powers of one matrix, so
-forward-backward costs a step per known word and is exact. Marginals give offending spans and, through a logistic function fitted
+forward-backward costs a step per known word and is exact for texts of any length. Offsets are those of the text itself. Marginals give offending spans and, through a logistic function fitted
 on the same rows, document scores.
 
 Defined cases: null and empty texts have no spans and the score of a text without known words; labels other than 0 and 1, null ids
@@ -49,14 +49,18 @@ class SpanField:
 
     def __post_init__(self):
         t, e = np.exp(np.array(self.trans)), np.array([1.0, math.exp(self.bias)])
-        step = t * e[None, :]
-        self.step, power, self.powers = step, np.eye(2), [np.eye(2).tolist()]
-        for _ in range(255):  # normalised; past that the power has converged
-            power = power @ step
-            power = power / power.max()
-            self.powers.append(power.tolist())
+        self.step = t * e[None, :]
+        self.powers = Memo(self._power, 1 << 12)
         self.enter = {f: ((t * np.array([1.0, math.exp(x)])[None, :]).tolist(), math.exp(x)) for f, x in self.weights.items()}
-        self.feature = Memo(lambda w: next((f for f in word_features(w) if f in self.weights), None), 1 << 16)
+        self.feature = Memo(lambda w: next((f for f in word_features(w.lower()) if f in self.weights), None), 1 << 16)
+
+    def _power(self, gap: int) -> list[list[float]]:
+        """The step matrix to the power of `gap`, normalised: common factors do not matter."""
+        if gap < 2:
+            return (self.step / self.step.max()).tolist() if gap else np.eye(2).tolist()
+        half, rest = np.array(self.powers[gap // 2]), np.array(self.powers[gap % 2])
+        power = half @ half @ rest
+        return (power / power.max()).tolist()
 
     def __reduce__(self):
         return SpanField, (self.weights, self.bias, self.trans, self.logistic)
@@ -83,7 +87,7 @@ class SpanField:
         out, b, nxt = [], (1.0, 1.0), len(words)
         for k in range(len(at) - 1, -1, -1):
             i = at[k]
-            p = self.powers[min(nxt - i - 1, 255)]
+            p = self.powers[nxt - i - 1]
             b = (p[0][0] * b[0] + p[0][1] * b[1], p[1][0] * b[0] + p[1][1] * b[1])
             f = forward[k]
             x, y = f[0] * b[0], f[1] * b[1]
@@ -95,7 +99,7 @@ class SpanField:
         return out[::-1]
 
     def _through(self, a: tuple, gap: int) -> tuple:
-        p = self.powers[min(gap, 255)]
+        p = self.powers[gap]
         return a[0] * p[0][0] + a[1] * p[1][0], a[0] * p[0][1] + a[1] * p[1][1]
 
     def score(self, marginals: list[tuple[int, float]]) -> float:
@@ -228,7 +232,7 @@ def fit_rows(docs: DataFrame, labels: DataFrame, *, rows: int = FIT_ROWS, max_by
     )
     texts, toxic = bounded_sample(docs, seed, "toxic", rows=rows, max_bytes=max_bytes)
     same: dict[str, str] = {}  # one object for each word
-    return [[same.setdefault(w, w) for w in WORD.findall((t or "").lower())] for t in texts], toxic
+    return [[same.setdefault(w, w) for w in map(str.lower, WORD.findall(t or ""))] for t in texts], toxic
 
 
 def score_toxicity(docs: DataFrame, model: SpanField, *, text: str = "text", threshold: float = THRESHOLD, spans: bool = True, keep_text: bool = True) -> DataFrame:
@@ -244,7 +248,7 @@ def score_toxicity(docs: DataFrame, model: SpanField, *, text: str = "text", thr
         for b in batches:
             scores, found = [], []
             for t in b.column(text).to_pylist():
-                words = WORD.findall(t.lower()) if t else []
+                words = WORD.findall(t) if t else []
                 marks = model.marginals(words)
                 if not marks:
                     scores.append(blank)
@@ -252,8 +256,8 @@ def score_toxicity(docs: DataFrame, model: SpanField, *, text: str = "text", thr
                     continue
                 scores.append(model.score(marks))
                 if spans:
-                    places = [m.span() for m in WORD.finditer(t.lower())]
-                    found.append([{"start": places[i][0], "end": places[i][1], "word": words[i], "p": p} for i, p in marks if p >= 0.5])
+                    places = [m.span() for m in WORD.finditer(t)]
+                    found.append([{"start": places[i][0], "end": places[i][1], "word": words[i].lower(), "p": p} for i, p in marks if p >= 0.5])
             columns = [b.column(f.name) for f in fields]
             columns += [pa.array(scores, pa.float64()), pa.array([int(s >= threshold) for s in scores], pa.int32())]
             columns += [pa.array(found, kind)] if spans else []

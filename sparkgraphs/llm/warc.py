@@ -2,7 +2,7 @@
 
 Headers (payload digest, size, id) are grouped by digest; of records with one payload that of the largest id stays a response and
 the others become revisits that refer to it. Records are assembled by column expressions and written by Spark's own committed
-writer, so a lost executor costs a task, never a torn archive; files stay near `file_bytes`. Reading walks the files by
+writer, so a lost executor costs a task, never a torn archive; files have at most twice `file_bytes`, or one record. Reading walks the files by
 Content-Length, so payloads may hold anything, and recomputes every payload's digest.
 
 Defined cases: a null payload is the empty one; payloads shorter than `min_bytes` are never revisits; repeated rows of the
@@ -61,7 +61,6 @@ def resolve_revisits(pages: DataFrame, *, key: str = "page_id", url: str = "url"
 def write_warc(resolved: DataFrame, path: str, *, date: str | None = None, file_bytes: int = FILE_BYTES) -> None:
     """Writes one record per row of `resolve_revisits`."""
     date = date or datetime.now(timezone.utc).strftime("%Y-%m-%dT%H:%M:%SZ")
-    mean = resolved.agg(F.avg(F.col("payload_bytes")).alias("mean")).first().mean or 0
     ident = lambda c: F.concat(F.lit("<urn:x-page:"), F.coalesce(F.col(c).cast("string"), F.lit("null")), F.lit(">\r\n"))
     line = lambda name, c: F.concat(F.lit(f"{name}: "), c, F.lit("\r\n"))
     http = F.concat(F.lit("HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: "), F.col("payload_bytes").cast("string"), F.lit("\r\n\r\n"))
@@ -69,8 +68,14 @@ def write_warc(resolved: DataFrame, path: str, *, date: str | None = None, file_
     shared = lambda kind: [F.lit(f"WARC/1.1\r\nWARC-Type: {kind}\r\nWARC-Date: {date}\r\nWARC-Record-ID: "), ident("id"), line("WARC-Target-URI", F.col("uri")), line("WARC-Payload-Digest", F.concat(F.lit("sha1:"), F.col("payload_digest"))), F.lit("Content-Type: application/http;msgtype=response\r\n")]
     response = F.concat(*shared("response"), line("Content-Length", (F.octet_length("http") + F.col("payload_bytes")).cast("string")), F.lit("\r\n"), F.col("http"), F.col("payload"), F.lit("\r\n"))
     revisit = F.concat(*shared("revisit"), F.lit(f"WARC-Profile: {PROFILE}\r\nWARC-Refers-To: "), ident("refers_to"), line("WARC-Refers-To-Target-URI", F.col("refers_uri")), line("Content-Length", F.octet_length("http").cast("string")), F.lit("\r\n"), F.col("http"), F.lit("\r\n"))
-    records = resolved.withColumn("http", http).select(F.when(again, revisit).otherwise(response).alias("value"))
-    records.write.option("lineSep", "\r\n").option("maxRecordsPerFile", max(20, int(file_bytes / (mean + 600)))).text(path)
+    # A task writes a file for each power of two of sizes and each run of so many rows that those of the size fill `file_bytes`: a file
+    # has at most twice that, or one record, however sizes are mixed
+    row = F.monotonically_increasing_id().bitwiseAND((1 << 33) - 1)
+    power = F.greatest(F.lit(12), F.floor(F.log2(F.col("payload_bytes").cast("double") + 1024)).cast("int"))
+    run = F.floor(row / F.greatest(F.lit(1.0), F.lit(float(file_bytes)) / F.pow(F.lit(2.0), power))).cast("long")
+    records = resolved.select("*", power.alias("power"), run.alias("run")).withColumn("http", http)
+    records = records.select(F.when(again, revisit).otherwise(response).alias("value"), "power", "run")
+    records.write.partitionBy("power", "run").option("lineSep", "\r\n").text(path)
 
 
 def parse_warc(data: bytes) -> Iterator[dict]:
