@@ -1,6 +1,6 @@
 """Connected components of link tables by alternating stars: larger neighbours go to a vertex's smallest, then smaller ones do.
 
-A round is one written table in the shared folder with its counters observed as it is written; the number of rounds grows with the
+A round is two written tables in the shared folder with its counters observed as they are written; the number of rounds grows with the
 logarithm of a component's size. Minima are pre-aggregated before they are shuffled, so a vertex with very many links is no hot key
 there; joins on vertices are plain shuffle joins that adaptive execution can split.
 """
@@ -29,7 +29,8 @@ def components(links: DataFrame, stages: Stages, a: str = "a", b: str = "b") ->
     while rows and sign != last:
         last = sign
         both = edges.unionByName(edges.select(F.col("m").alias("u"), F.col("u").alias("m")))
-        least = both.groupBy("u").agg(F.least(F.min("m"), F.col("u")).alias("low"))
+        # written, so that the join below has a plain shuffle on both sides, which adaptive execution splits at a hub
+        least = stages.keep(both.groupBy("u").agg(F.least(F.min("m"), F.col("u")).alias("low")))
         large = both.where("m > u").join(least, "u").select(F.col("m").alias("u"), F.col("low").alias("m")).distinct()
         below = large.groupBy("u").agg(F.min("m").alias("low"))
         # a hub of the next round is the smallest of its neighbours: what it hands down is written once
