@@ -256,12 +256,10 @@ def replace_entities(docs: DataFrame, key: str, *, text: str = "text", stages: S
     by_text = stages.keep(out.groupBy("entity_key").agg(F.array_sort(F.collect_list("pair"))["new"].alias("new"), F.array_sort(F.collect_set("kind")).alias("kinds")))
     pieces = F.split(F.col(text), ANY, -1)
     whole = F.array_join(F.zip_with(pieces, "new", lambda a, b: F.concat(a, F.coalesce(b, F.lit("")))), "")
-    replaced = lambda rows: rows.select(*[whole.alias(c) if c == text else F.col(c) for c in own], F.size("new").cast("long").alias("n_entities"), "kinds")
-    # a text of over a thousandth of the rows is a hot key: its entities are broadcast, there are at most a thousand such texts
-    copies = F.broadcast(hot_values(found.select("entity_key"), "entity_key"))
-    common = found.join(copies, "entity_key", "left_semi").join(F.broadcast(by_text.join(copies, "entity_key", "left_semi")), "entity_key")
-    single = found.join(copies, "entity_key", "left_anti").join(by_text, "entity_key")
-    return clean.unionByName(replaced(common)).unionByName(replaced(single))
+    # plain shuffles on both sides: a text of very many rows is a skewed key, which adaptive execution splits
+    joined = found.join(by_text, "entity_key")
+    changed = joined.select(*[whole.alias(c) if c == text else F.col(c) for c in own], F.size("new").cast("long").alias("n_entities"), "kinds")
+    return clean.unionByName(changed)
 
 
 def op10_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
