@@ -14,12 +14,14 @@ from ..model.graph import Graph
 TOP = (1 << 63) - 1
 
 
-def relax(g: Graph, source: int, start: Column, extend: Callable[[Column, Column], Column], best: str, *, bucket: Callable[[Column], Column] | None = None, cap: int | None = None, mode: str = "blocked", stats: RunStats | None = None) -> tuple[DataFrame, bool]:
+def relax(g: Graph, source: int, start: Column, extend: Callable[[Column, Column], Column], best: str, *, bucket: Callable[[Column], Column] | None = None, cap: int | None = None, mode: str = "blocked", dense_switch: bool = False, stats: RunStats | None = None) -> tuple[DataFrame, bool]:
     """(v, val) of the best value reaching each vertex, and whether `cap` rounds were too few.
 
     A vertex is active from when it improves until its arcs are relaxed. Without buckets all active vertices go at once; with
-    them only those of the extreme bucket, and a bucket is left when none of its vertices is active.
+    them only those of the extreme bucket, and a bucket is left when none of its vertices is active. With `dense_switch` a round whose
+    active vertices are over a twentieth of all pulls: the vertices not yet settled ask along their arcs.
     """
+    n = g.vertices.count() if dense_switch else 0
     rounds = Rounds(g.spark, "relax", stats)
     pick = F.min if best == "min" else F.max
     better = (lambda a, b: a < b) if best == "min" else (lambda a, b: a > b)
@@ -32,7 +34,10 @@ def relax(g: Graph, source: int, start: Column, extend: Callable[[Column, Column
         if cap is not None and done >= cap:
             return state.select("v", "val"), True
         now = F.col("active") if bucket is None else F.col("active") & (at == F.lit(seen["bucket"]))
-        found = edge_map(g.edges, state.where(now).select("v", "val"), [pick("new").alias("new")], message={"new": extend(F.col("val"), F.col("w") if g.weighted else F.lit(1))}, mode=mode)
+        dense = dense_switch and seen["active"] > n / 20
+        unsettled = state.where(F.col("val").isNull() | (F.lit(True) if bucket is None else ~better(at, F.lit(seen["bucket"]))))
+        message = {"new": extend(F.col("val"), F.col("w") if g.weighted else F.lit(1))}
+        found = edge_map(g.edges, state.where(now).select("v", "val"), [pick("new").alias("new")], live=unsettled if dense else None, message=message, mode="pull" if dense else mode)
         improved = F.col("new").isNotNull() & (F.col("val").isNull() | better(F.col("new"), F.col("val")))
         joined = state.join(found, "v", "left")
         state, seen = rounds.keep(joined.select("v", F.when(improved, F.col("new")).otherwise(F.col("val")).alias("val"), (improved | (F.col("active") & ~F.coalesce(now, F.lit(False)))).alias("active")), "state", **watch)
@@ -50,11 +55,15 @@ def bellman_ford(g: Graph, source: int, *, mode: str = "blocked", stats: RunStat
     return out.withColumnRenamed("val", "dist")
 
 
-def weighted_bfs(g: Graph, source: int, *, bucket_width: int = 1, mode: str = "blocked", stats: RunStats | None = None) -> DataFrame:
-    """(v, dist) for integral weights of 1 or more, vertices in the order of their distance; wider buckets give delta-stepping."""
-    if g.weighted and g.edges.where("w < 1").limit(1).count():
-        raise ValueError("weights must be 1 or more")
-    out, _ = relax(g, source, F.lit(0).cast("bigint"), lambda d, w: d + w, "min", bucket=lambda d: F.floor(d / bucket_width), mode=mode, stats=stats)
+def weighted_bfs(g: Graph, source: int, *, bucket_width: int = 1, mode: str = "blocked", dense_switch: bool = True, allow_zero: bool = False, stats: RunStats | None = None) -> DataFrame:
+    """(v, dist) for integral weights of 1 or more, vertices in the order of their distance; wider buckets give delta-stepping.
+
+    With `allow_zero` weights may be 0: a bucket is then left only when no vertex in it improves any more.
+    """
+    least = 0 if allow_zero else 1
+    if g.weighted and not g.edges.where(F.col("w") < least).isEmpty():
+        raise ValueError(f"weights must be {least} or more")
+    out, _ = relax(g, source, F.lit(0).cast("bigint"), lambda d, w: d + w, "min", bucket=lambda d: F.floor(d / bucket_width), mode=mode, dense_switch=dense_switch, stats=stats)
     return out.withColumnRenamed("val", "dist")
 
 

@@ -1,10 +1,13 @@
-"""The edge map: messages from a frontier over its arcs, combined at the targets that are still open.
+"""Edge maps: what a frontier's arcs send to their targets, combined at each target.
 
-push      frontier joined with arcs by source; targets are checked after the shuffle by target
-blocked   the same with the check of targets below that shuffle, so that only live targets are written
+push      every message is shuffled as it is; settled targets go afterwards (the unblocked baseline)
+blocked   messages are combined before the shuffle, a row for each task and target; open targets are tested below it where they are
+          few enough to be broadcast (Spark checks their size and moves the test there), else on the combined rows, dealt alike
 pull      open targets joined with their arcs, then with the frontier: nothing to settle afterwards
 auto      pull when the frontier's arcs are over `dense` of all, else blocked
-All give the same rows: one per open target that got a message. Aggregates combine on the map side, so a hub is no hot key.
+
+All give the same rows: one per open target that got a message. The edges of a graph that is laid out are stored by source, so the join
+with a frontier does not shuffle them. Aggregates combine on the map side, so a hub is no hot key.
 """
 
 from __future__ import annotations
@@ -28,12 +31,10 @@ def edge_map(edges: DataFrame, frontier: DataFrame, combine: list[Column], *, li
         arcs = edges.join(targets, "dst", "left_semi").join(sources, "src")
     else:
         arcs = sources.join(edges, "src")
-        if targets is not None and mode == "blocked":
-            arcs = arcs.join(targets, "dst", "left_semi")
     if message:
         arcs = arcs.withColumns(message)
-    out = arcs.groupBy("dst").agg(*combine)
-    if targets is not None and mode == "push":
+    out = (arcs.repartition("dst") if mode == "push" else arcs).groupBy("dst").agg(*combine)
+    if targets is not None and mode != "pull":
         out = out.join(targets, "dst", "left_semi")
     return out.withColumnRenamed("dst", "v")
 

@@ -17,8 +17,10 @@ from pyspark.sql import Column, DataFrame, Observation, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: the session's spark.checkpoint.dir; a new one only where none is set."""
+    """The folder that all executors share: the session's spark.checkpoint.dir; on one machine a new one where none is set."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not base and not spark.sparkContext.master.startswith("local["):
+        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
     if not base:
         base = tempfile.mkdtemp(prefix="graph-rounds-")
         spark.sparkContext.setCheckpointDir(base)
@@ -70,6 +72,15 @@ class Rounds:
     def table(self, df: DataFrame) -> DataFrame:
         return self.keep(df)[0]
 
+    def bucketed(self, df: DataFrame, key: str, *order: str, partitions: int | None = None) -> DataFrame:
+        """Writes `df` in buckets by `key`, a file each, under the run's own folder; the table's name goes with the session."""
+        self.count += 1
+        n = partitions or int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+        name = f"by_{key}_{uuid.uuid4().hex[:16]}"
+        dealt = df.repartition(n, key)
+        dealt.write.format("parquet").bucketBy(n, key).sortBy(key, *order).option("path", f"{self.root}/{self.count}").saveAsTable(name)
+        return self.spark.table(name)
+
     def delete(self, path: str) -> None:
         where = self.spark._jvm.org.apache.hadoop.fs.Path(path)
         where.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(where, True)

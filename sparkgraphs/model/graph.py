@@ -33,11 +33,9 @@ class Graph:
             raise TypeError("vertices need v, edges need src and dst, all BIGINT")
 
     def layout(self, partitions: int | None = None) -> Graph:
-        """Written once, hashed and sorted by source: sparse rounds skip row groups, hub rows stay in one run of files."""
+        """Written once, in buckets by source and sorted: joins by source do not shuffle the edges again."""
         keep = Rounds(self.spark, self.name)
-        by = ([partitions] if partitions else []) + ["src"]
-        edges = keep.table(self.edges.repartition(*by).sortWithinPartitions("src", "dst"))
-        return replace(self, vertices=keep.table(self.vertices), edges=edges)
+        return replace(self, vertices=keep.table(self.vertices), edges=keep.bucketed(self.edges, "src", "dst", partitions=partitions))
 
     def half(self) -> DataFrame:
         """Each undirected edge once."""

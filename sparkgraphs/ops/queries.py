@@ -280,6 +280,17 @@ def udf_arrow(spark: S, sf_dir: str) -> DataFrame:
     return both.select("a", "b", F.round(cosine("x", "y"), 6).alias("cosine"))
 
 
+@op("udf_grouped", "SELECT s_suppkey, s_nationkey, round(coalesce((s_acctbal - avg(s_acctbal) OVER w) / nullif(stddev_pop(s_acctbal) OVER w, 0), 0), 6) AS score FROM supplier WINDOW w AS (PARTITION BY s_nationkey)")
+def udf_grouped(spark: S, sf_dir: str) -> DataFrame:
+    """Standard scores within a nation, a group of suppliers a call: for groups that are known to be small."""
+
+    def scores(group: pd.DataFrame) -> pd.DataFrame:
+        spread = group.s_acctbal.std(ddof=0)
+        return group[["s_suppkey", "s_nationkey"]].assign(score=((group.s_acctbal - group.s_acctbal.mean()) / spread).round(6) if spread else 0.0)
+
+    return T(spark, sf_dir, "supplier").select("s_suppkey", "s_nationkey", "s_acctbal").groupBy("s_nationkey").applyInPandas(scores, "s_suppkey bigint, s_nationkey int, score double")
+
+
 @op("udaf_pandas", "SELECT c_nationkey, round((2 * sum(i * x) / (count(*) * sum(x)) - (count(*) + 1) / count(*)), 6) AS gini FROM (SELECT c_nationkey, c_custkey + 1 AS x, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_custkey) AS i FROM customer) GROUP BY c_nationkey")
 def udaf_pandas(spark: S, sf_dir: str) -> DataFrame:
     @F.pandas_udf("double")

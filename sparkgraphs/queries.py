@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from .algo import ball, bfs, biconnectivity, connectivity, covering, msf, ranking, relax, scc, substructure
 from .check import certificates as cert
 from .core.priority import prio_sql
+from .core.rounds import RunStats
 from .measure import measures
 from .model import catalog
 from .model.graph import Graph, from_arcs
@@ -247,6 +248,10 @@ WIDEST = relax_sql("cust_supp", "9223372036854775807::BIGINT", "least(r.d, ew.w)
 query("widest_semiring", WIDEST)(on("cust_supp", lambda g: relax.widest_path(g, source(g)), weights=True))
 query("widest_bucket", WIDEST)(on("cust_supp", lambda g: relax.widest_path(g, source(g), method="bucket"), weights=True))
 query("betweenness_events_sym", between_sql("event_succession_sym"))(on("event_succession_sym", lambda g: rounded(bfs.betweenness(g, source(g)), "score", 6)))
+#: On a graph without weights the scores add up to the inner vertices of a shortest path to each vertex.
+query("betweenness_torus", f"SELECT count(*) AS vertices, sum(CASE WHEN dist > 0 THEN dist - 1 ELSE 0 END)::BIGINT AS inner_vertices FROM ({bfs_sql('torus')})")(
+    on("torus", lambda g: bfs.betweenness(g, source(g)).agg(F.count(F.lit(1)).alias("vertices"), F.round(F.sum("score")).cast("bigint").alias("inner_vertices")))
+)
 query("betweenness_directed", between_sql("event_succession"))(on("event_succession", lambda g: rounded(bfs.betweenness(g, source(g), exact_paths=True), "score", 6)))
 
 # --- decompositions, connectivity ----------------------------------------------------------------------------------------------
@@ -293,6 +298,17 @@ query("set_cover_order_part", "SELECT 0::BIGINT AS uncovered, true AS within_bou
 query("set_cover_id_priority", "SELECT 0::BIGINT AS uncovered, true AS within_bound")(on("user_item", lambda g: cert.cover(_sets(g), covering.set_cover(_sets(g), repriority=False, eps=0.1))))
 
 
+@query("set_cover_rounds")
+def set_cover_rounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(priorities, rounds, sets) of the cover of users by what they bought, with fresh priorities and with ids. Rounds have no SQL."""
+    g, out = catalog.load(spark, sf_dir, "user_item").layout(), []
+    for fresh in (True, False):
+        stats = RunStats()
+        sets = covering.set_cover(covering.cover_from_graph(g), eps=0.1, repriority=fresh, stats=stats).count()
+        out.append(("fresh" if fresh else "ids", stats.depth, sets))
+    return spark.createDataFrame(out, "priorities string, rounds bigint, sets bigint")
+
+
 def _sets(g: Graph) -> DataFrame:
     return g.edges.where("src % 2 = 0").select(F.col("src").alias("set_id"), F.col("dst").alias("elem_id"))
 
@@ -316,6 +332,9 @@ for _m in ("oriented_join", "oriented_lists", "undirected"):
 query("triangles_per_vertex", f"WITH {arcs('part_copurchase')}, t AS ({TRIANGLES_SQL}) SELECT v.v, count(x.v) AS triangles FROM v LEFT JOIN (SELECT unnest([a, b, c]) AS v FROM t) x ON x.v = v.v GROUP BY v.v")(on("part_copurchase", substructure.triangles_per_vertex))
 query("pagerank_iter1", PAGERANK_SQL.format(arcs=arcs("cust_supp"), times=1))(on("cust_supp", lambda g: rounded(ranking.pagerank_iteration(g), "rank")))
 query("pagerank_20", PAGERANK_SQL.format(arcs=arcs("event_succession_sym"), times=20))(on("event_succession_sym", lambda g: rounded(ranking.pagerank(g, eps=0.0, max_iter=20), "rank")))
+query("pagerank_converged", PAGERANK_SQL.format(arcs=arcs("event_succession_sym"), times=60).replace("round(r, 9)", "round(r, 8)"))(
+    on("event_succession_sym", lambda g: rounded(ranking.pagerank(g, eps=1e-12, max_iter=60), "rank", 8))
+)
 query("pagerank_push_raw", PAGERANK_SQL.format(arcs=arcs("cust_supp"), times=1))(on("cust_supp", lambda g: rounded(ranking.pagerank_iteration(g, mode="push_raw"), "rank")))
 query("pagerank_delta_cert", "SELECT true AS close, true AS mass_kept")(on("event_succession_sym", lambda g: cert.ranks_close(ranking.pagerank(g), ranking.pagerank_delta(g))))
 query("pagerank_directed_mass", "SELECT true AS mass_kept")(on("page_links", lambda g: ranking.pagerank(g, dangling="redistribute", max_iter=30).agg((F.abs(F.sum("rank") - 1) < 1e-6).alias("mass_kept"))))
