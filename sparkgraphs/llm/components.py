@@ -13,11 +13,15 @@ from pyspark.sql import functions as F
 from .common import Stages
 
 
+def _files(rows: int | None) -> int | None:
+    return max(1, min(64, rows // 50_000 + 1)) if rows is not None and rows < 3_000_000 else None
+
+
 def _written(stages: Stages, stars: DataFrame, last: int | None = None) -> tuple[DataFrame, int, int]:
     """The written table (u, m), its number of rows and a sum that depends on its rows alone. last: rows before; small tables go to few files."""
     watch = Observation()
     seen = stars.observe(watch, F.count(F.lit(1)).alias("rows"), F.coalesce(F.bit_xor(F.xxhash64("u", "m")), F.lit(0)).alias("sign"))
-    kept = stages.keep(seen, max(1, min(64, last // 50_000 + 1)) if last is not None and last < 3_000_000 else None)
+    kept = stages.keep(seen, _files(last))
     return kept, watch.get["rows"], watch.get["sign"]
 
 
@@ -30,7 +34,7 @@ def components(links: DataFrame, stages: Stages, a: str = "a", b: str = "b") ->
         last = sign
         both = edges.unionByName(edges.select(F.col("m").alias("u"), F.col("u").alias("m")))
         # written, so that the join below has a plain shuffle on both sides, which adaptive execution splits at a hub
-        least = stages.keep(both.groupBy("u").agg(F.least(F.min("m"), F.col("u")).alias("low")))
+        least = stages.keep(both.groupBy("u").agg(F.least(F.min("m"), F.col("u")).alias("low")), _files(rows))
         large = both.where("m > u").join(least, "u").select(F.col("m").alias("u"), F.col("low").alias("m")).distinct()
         below = large.groupBy("u").agg(F.min("m").alias("low"))
         # a hub of the next round is the smallest of its neighbours: what it hands down is written once
