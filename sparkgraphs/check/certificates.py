@@ -133,7 +133,7 @@ def coloring(g: Graph, colors: DataFrame) -> DataFrame:
 
 
 def cover(instance: DataFrame, chosen: DataFrame) -> DataFrame:
-    """All elements are covered; the size is within (1 + ln of the largest set) x 1.5 of the elements-over-largest-set lower bound, or of the sets."""
+    """All elements are covered; the size is within 8 (1 + ln of the largest set) times the elements-over-largest-set lower bound."""
     instance, chosen = instance.distinct(), Rounds(instance.sparkSession, "check").table(chosen)
     covered = instance.join(chosen, "set_id", "left_semi").select("elem_id").distinct()
     n, left = instance.select("elem_id").distinct().count(), 0
