@@ -5,6 +5,7 @@ Each returns rows (dictionaries) with what the experiment compares: seconds, rou
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -14,7 +15,7 @@ from ..algo import ball, bfs, biconnectivity, connectivity, covering, msf, ranki
 from ..check import certificates as cert
 from ..core import blocks
 from ..core.histogram import STRATEGIES
-from ..core.rounds import RunStats
+from ..core.rounds import Rounds, RunStats
 from ..measure import measures
 from ..model import catalog
 from ..model.graph import Graph, from_arcs
@@ -69,13 +70,21 @@ def runs(g: Graph, variants: dict[str, Callable[[RunStats], DataFrame]]) -> Rows
     return [{"graph": g.name, "variant": k, **measures.timed(f)} for k, f in variants.items()]
 
 
+#: Problems of directed graphs; the others run on graphs that hold both orientations.
+DIRECTED = ("scc",)
+
+
+def problems_of(g: Graph) -> dict[str, Callable[[Graph, RunStats], DataFrame]]:
+    return {p: f for p, f in PROBLEMS.items() if (p in DIRECTED) == g.directed}
+
+
 @workload("X1")
 def every_problem(spark: SparkSession, d: str) -> Rows:
-    """All problems on a hub graph and the torus (seconds on this session's cores; X26 sets them against one core)."""
+    """All problems on four whole graphs, strong components on two directed ones (seconds on this session's cores; X26 sets them against one core)."""
     out = []
-    for name in ("cust_part_urgent", "torus"):
+    for name in ("cust_supp", "cust_part", "part_copurchase", "torus", "event_succession", "event_hot_succession"):
         g = load(spark, d, name, True)
-        for p, f in PROBLEMS.items():
+        for p, f in problems_of(g).items():
             run = measures.timed(lambda s, f=f, g=g: f(g, s))
             out.append({"graph": name, "problem": p, **run, "arcs_per_second": measures.throughput(g, run["seconds"])})
     return out
@@ -83,18 +92,48 @@ def every_problem(spark: SparkSession, d: str) -> Rows:
 
 @workload("X2")
 def blocked_form(spark: SparkSession, d: str) -> Rows:
-    """The same answers from difference-coded blocks as from the edge list."""
-    g = load(spark, d, "part_supp")
-    h = Graph(g.vertices, blocks.decode_blocks(blocks.encode_blocks(g.edges)), name="part_supp_blocks").layout()
-    same = lambda f: f(g).exceptAll(f(h)).isEmpty()
-    return [{"problem": n, "same": same(f)} for n, f in (("bfs", lambda x: bfs.bfs(x, first(x))), ("cores", substructure.kcore_hindex), ("triangles", substructure.triangle_count))]
+    """All problems on three graphs in blocked form against the edge list; the links of pages directed, and in both directions."""
+    out = []
+    for name in ("part_supp", "part_copurchase", "page_links"):
+        g = load(spark, d, name, True)
+        for x in (g, g.symmetrised().layout()) if g.directed else (g,):
+            out += from_blocks(x, problems_of(x))
+    return out
+
+
+def from_blocks(g: Graph, problems: dict[str, Callable[[Graph, RunStats], DataFrame]]) -> Rows:
+    """Whether problems have the same answers from difference-coded blocks as from the edge list, and the seconds of both.
+
+    Weights are drawn again from the ends of an edge, so blocks need not hold them. Real-valued answers are compared to six places.
+    """
+    rounds, out = Rounds(g.spark, "from_blocks"), []
+    adj = rounds.table(blocks.encode_blocks(g.edges))
+    h = Graph(g.vertices, blocks.decode_blocks(adj), g.directed, f"{g.name}_blocks").with_weights().layout()
+    for p, f in problems.items():
+        rows, seconds = [], []
+        for x in (g, h):
+            began = time.time()
+            rows.append(rounds.table(places(f(x, RunStats()))))
+            seconds.append(time.time() - began)
+        same = rows[0].exceptAll(rows[1]).isEmpty() and rows[1].exceptAll(rows[0]).isEmpty()
+        out.append({"graph": g.name, "problem": p, "same": same, "seconds_edges": seconds[0], "seconds_blocks": seconds[1]})
+    return out
+
+
+def places(df: DataFrame, digits: int = 6) -> DataFrame:
+    """Real columns rounded: sums of parts taken in another order differ in their last bits."""
+    return df.select(*[F.round(c, digits).alias(c) if kind == "double" else F.col(c) for c, kind in df.dtypes])
 
 
 @workload("X3")
 def statistics(spark: SparkSession, d: str) -> Rows:
+    """Sizes, components, degeneracy and the depth from the smallest vertex of every graph of the catalogue; cores only where arcs go both ways."""
     out = []
-    for name in ("cust_supp", "order_part_h1", "conversation_chain", "torus", "geo_tree", "duplicate_docs"):
+    for name in catalog.NAMES:
         g = load(spark, d, name)
+        if g.directed:
+            out.append(measures.graph_stats(g.symmetrised().layout()).first().asDict() | {"depth": bfs.effective_diameter(g, [first(g)]).first().depth})
+            continue
         row = measures.graph_stats(g).first().asDict()
         out.append(row | {"degeneracy": substructure.degeneracy(g).first()[0], "depth": bfs.effective_diameter(g, [first(g)]).first().depth})
     return out
@@ -102,8 +141,12 @@ def statistics(spark: SparkSession, d: str) -> Rows:
 
 @workload("X4")
 def core_histograms(spark: SparkSession, d: str) -> Rows:
-    g = load(spark, d, "user_item")
-    return runs(g, {s: lambda st, s=s: substructure.kcore(g, strategy=s, stats=st) for s in STRATEGIES})
+    """Every histogram strategy on a graph of many shared targets and on the one with the hubs."""
+    out = []
+    for name in ("user_item", "cust_supp"):
+        g = load(spark, d, name)
+        out += runs(g, {s: lambda st, s=s, g=g: substructure.kcore(g, strategy=s, stats=st) for s in STRATEGIES})
+    return out
 
 
 @workload("X5")
@@ -116,8 +159,9 @@ def blocked_push(spark: SparkSession, d: str) -> Rows:
 
 @workload("X6")
 def torus_curves(spark: SparkSession, d: str) -> Rows:
-    out = []
-    for side in (4, 6, 8, 10):
+    """Arcs a second by the side of the torus, for all sides that the parts suffice for."""
+    out, parts = [], catalog.read(spark, d, "part").count()
+    for side in (s for s in (5, 8, 12, 18, 27) if s**3 <= parts):
         g = from_arcs(catalog.torus(spark, d, side), name=f"torus{side}").layout()
         for p in ("mis", "bfs", "betweenness", "colouring"):
             run = measures.timed(lambda s, p=p, g=g: PROBLEMS[p](g, s))
@@ -246,8 +290,10 @@ def ranks(spark: SparkSession, d: str) -> Rows:
 
 @workload("X23")
 def dense_switch(spark: SparkSession, d: str) -> Rows:
-    g = load(spark, d, "cust_supp")
-    return runs(g, {m: lambda s, m=m: bfs.bfs(g, first(g), mode=m, stats=s) for m in ("auto", "blocked", "pull", "push")})
+    """Weighted search with and without pulling in rounds of large frontiers, and the modes of the search by levels."""
+    g = load(spark, d, "cust_supp", True)
+    weighted = {f"weighted_{'switch' if on else 'push'}": lambda s, on=on: relax.weighted_bfs(g, first(g), dense_switch=on, stats=s) for on in (True, False)}
+    return runs(g, weighted | {m: lambda s, m=m: bfs.bfs(g, first(g), mode=m, stats=s) for m in ("auto", "blocked", "pull", "push")})
 
 
 @workload("X24")
