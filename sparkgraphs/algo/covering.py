@@ -7,6 +7,7 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..core.buckets import Buckets
 from ..core.edge_map import edge_map
 from ..core.prims import prefix_cut
 from ..core.priority import SPAN, prio
@@ -167,25 +168,40 @@ def set_cover(instance: DataFrame, *, eps: float = 0.01, seed: int = 42, reprior
 
     The fullest bucket of sets bids for its open elements each round, with fresh priorities (or, as the baseline, by id); a set is accepted
     if it wins about a bucket's worth of elements, or all it has.
+
+    The instance is written once, in buckets by set, and stays. A set's degree is an upper bound: each round the open elements
+    of sets bounded by over half of the fullest bucket are counted, and those truly in the fullest one bid (nobody, if all had lost
+    half of their elements). Covered elements are appended to one table.
     """
-    rounds = Rounds(instance.sparkSession, "cover", stats)
-    edges = rounds.table(instance.select("set_id", "elem_id").distinct())
-    chosen, left, r = None, edges.count(), 0
-    while left:
-        r += 1
-        degree = edges.groupBy("set_id").agg(F.count(F.lit(1)).alias("degree")).withColumn("bucket", F.floor(F.log(F.col("degree").cast("double")) / math.log(1 + eps) + 1e-9))
-        degree = rounds.table(degree)
-        top = degree.agg(F.max("bucket").alias("b")).first().b
+    rounds = Rounds(instance.sparkSession, "cover")
+    arcs = rounds.bucketed(instance.select("set_id", "elem_id").distinct(), "set_id", "elem_id")
+    number = lambda d: F.floor(F.log(d.cast("double")) / math.log(1 + eps) + 1e-9)
+    held = Buckets(rounds, F.when((F.col("degree") > 0) & ~F.col("taken"), number(F.col("degree"))), "max", "sets")
+    held.put(arcs.groupBy("set_id").agg(F.count(F.lit(1)).alias("degree")).withColumn("taken", F.lit(False)))
+    covered = rounds.append(instance.select("elem_id").limit(0), "covered")
+    r, half = 1, math.floor(math.log(2) / math.log(1 + eps))
+    while held.id is not None:
+        low = max(held.id - half - 1, -1)
+        sets = held.rows.where(held.bucket > low).select("set_id")
+        own, _ = rounds.keep(sets.join(arcs, "set_id").join(covered, "elem_id", "left_anti").select("set_id", "elem_id"), "own")
+        degree = own.groupBy("set_id").agg(F.count(F.lit(1)).alias("degree"))
+        top = degree.agg(F.max(number(F.col("degree"))).alias("top")).where(F.col("top") > low)  # one row
         bid: Column = prio(f"{seed}.{r}", "set_id") if repriority else F.col("set_id")
-        active = edges.join(degree.where(F.col("bucket") == top), "set_id")
-        won = active.groupBy("elem_id").agg(F.min(F.struct(bid.alias("p"), "set_id", "degree")).alias("s")).groupBy("s.set_id", "s.degree").agg(F.count(F.lit(1)).alias("won"))
-        need = math.ceil((1 + eps) ** max(top - 1, 0) - 1e-9)
-        accepted = rounds.table(won.where((F.col("won") > need) | (F.col("won") == F.col("degree"))).select("set_id"))
-        chosen = accepted if chosen is None else chosen.unionByName(accepted)
-        covered = edges.join(accepted, "set_id", "left_semi").select("elem_id").distinct()
-        edges, seen = rounds.keep(edges.join(covered, "elem_id", "left_anti").select("set_id", "elem_id"), "edges", left=F.count(F.lit(1)), sets=F.approx_count_distinct("set_id"))
-        left = seen["left"]
-    return chosen if chosen is not None else edges.select("set_id")
+        active = own.join(degree.join(F.broadcast(top), number(F.col("degree")) == F.col("top")), "set_id")
+        won = active.groupBy("elem_id").agg(F.min(F.struct(bid.alias("p"), "set_id", "degree", "top")).alias("s")).groupBy("s.set_id", "s.degree", "s.top").agg(F.count(F.lit(1)).alias("won"))
+        need = F.ceil(F.pow(F.lit(1.0 + eps), F.greatest(F.col("top") - 1, F.lit(0))) - 1e-9)
+        won = won.select("set_id", ((F.col("won") > need) | (F.col("won") == F.col("degree"))).alias("taken"))
+        won, seen = rounds.keep(won, "won", winners=F.count(F.lit(1)), sets=F.count_if("taken"))
+        accepted = won.where("taken")
+        if seen["sets"]:
+            covered = rounds.append(own.join(accepted, "set_id", "left_semi").select("elem_id").distinct(), "covered")
+        if seen["winners"]:  # else nobody bid
+            r += 1
+            if stats is not None:
+                stats.rounds.append(seen)
+        now = sets.join(degree, "set_id", "left").join(accepted, "set_id", "left")
+        held.update(now.select("set_id", F.coalesce("degree", F.lit(0)).alias("degree"), F.coalesce("taken", F.lit(False)).alias("taken")), "set_id")
+    return held.rows.where("taken").select("set_id")
 
 
 def greedy_cover(instance: DataFrame, *, stats: RunStats | None = None) -> DataFrame:

@@ -7,6 +7,7 @@ import math
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..core.buckets import Buckets
 from ..core.histogram import histogram
 from ..core.rounds import Rounds, RunStats
 from ..model.graph import Graph
@@ -15,21 +16,24 @@ from ..model.graph import Graph
 def _peel(g: Graph, strategy: str, stats: RunStats | None, scan: bool = False) -> tuple[DataFrame, RunStats]:
     """(v, coreness, peeled): the round in which each vertex went."""
     stats = stats if stats is not None else RunStats()
-    rounds = Rounds(g.spark, "kcore", stats)
     none = F.lit(None).cast("bigint")
-    state, seen = rounds.keep(g.degrees().select("v", "degree", none.alias("coreness"), none.alias("peeled")), "state", open=F.count(F.lit(1)), low=F.min("degree"))
+    open_ = F.col("coreness").isNull()
+    held = Buckets(Rounds(g.spark, "kcore", stats), F.when(open_, F.col("degree")))
+    held.put(g.degrees().select("v", "degree", none.alias("coreness"), none.alias("peeled")), open=F.count(F.lit(1)))
     k = r = 0
-    while seen["open"]:
-        k = max(k, seen["low"]) if not scan else k + (seen["low"] > k)
+    while held.id is not None:
+        state, low = held.rows, held.id
+        k = max(k, low) if not scan else k + (low > k)
         r += 1
-        now = F.col("coreness").isNull() & (F.col("degree") <= k)
+        now = open_ & (F.col("degree") <= k)
         pairs = state.where(now).select(F.col("v").alias("src")).join(g.edges, "src").select(F.col("dst").alias("v"))
-        pairs = pairs.join(state.where(F.col("coreness").isNull() & (F.col("degree") > k)).select("v"), "v", "left_semi")
+        pairs = pairs.join(state.where(open_ & (F.col("degree") > k)).select("v"), "v", "left_semi")
         lost = histogram(pairs, "v", strategy=strategy, out="lost")
         degree = F.when(F.col("lost").isNull(), F.col("degree")).otherwise(F.greatest(F.col("degree") - F.col("lost"), F.lit(k)))
         core = F.when(now, F.lit(k).cast("bigint")).otherwise(F.col("coreness"))
-        state, seen = rounds.keep(state.join(lost, "v", "left").select("v", degree.alias("degree"), core.alias("coreness"), F.when(now, F.lit(r).cast("bigint")).otherwise(F.col("peeled")).alias("peeled")), "state", open=F.count_if(F.col("coreness").isNull()), low=F.min(F.when(F.col("coreness").isNull(), F.col("degree"))))
-    return state, stats
+        gone = F.when(now, F.lit(r).cast("bigint")).otherwise(F.col("peeled"))
+        held.put(state.join(lost, "v", "left").select("v", degree.alias("degree"), core.alias("coreness"), gone.alias("peeled")), open=F.count_if(open_))
+    return held.rows, stats
 
 
 def kcore(g: Graph, *, strategy: str = "plain", stats: RunStats | None = None) -> DataFrame:

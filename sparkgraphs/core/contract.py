@@ -20,6 +20,20 @@ def pointer_jump(parents: DataFrame, rounds: Rounds | None = None) -> DataFrame:
     return parents
 
 
+def has_cycle(parents: DataFrame, rounds: Rounds | None = None) -> bool:
+    """Whether some vertex of (v, p), p NULL at roots, never comes to a root: pointers double, and those that came to one go."""
+    rounds = rounds or Rounds(parents.sparkSession, "cycle")
+    ways, seen = rounds.keep(parents.where("p IS NOT NULL").select("v", "p"), "ways", left=F.count(F.lit(1)))
+    reach, longest = 1, seen["left"]
+    while seen["left"]:
+        if reach > longest:
+            return True
+        up = ways.select(F.col("v").alias("p"), F.col("p").alias("pp"))
+        ways, seen = rounds.keep(ways.join(up, "p").select("v", F.col("pp").alias("p")), "ways", left=F.count(F.lit(1)))
+        reach *= 2
+    return False
+
+
 def relabel_edges(edges: DataFrame, labels: DataFrame) -> DataFrame:
     """Ends replaced by their labels (v, label); arcs within a label go."""
     a, b = (labels.select(F.col("v").alias(c), F.col("label").alias(f"new_{c}")) for c in ("src", "dst"))

@@ -72,6 +72,12 @@ class Rounds:
     def table(self, df: DataFrame) -> DataFrame:
         return self.keep(df)[0]
 
+    def append(self, df: DataFrame, name: str) -> DataFrame:
+        """Adds rows to a table that grows over the rounds, and reads all of it."""
+        path = f"{self.root}/{name}"
+        df.write.mode("append").parquet(path)
+        return self.spark.read.schema(df.schema).parquet(path)
+
     def bucketed(self, df: DataFrame, key: str, *order: str, partitions: int | None = None) -> DataFrame:
         """Writes `df` in buckets by `key`, a file each, under the run's own folder; the table's name goes with the session."""
         self.count += 1

@@ -86,22 +86,34 @@ def succession(events: DataFrame) -> DataFrame:
     return events.groupBy("user_id").applyInPandasWithState(last_pairs, "user_id bigint, src bigint, dst bigint", "last bigint", "append", "NoTimeout")
 
 
-def live_components(arcs: DataFrame) -> DataFrame:
-    """(v, label) of all arcs that came: each batch joins the stored labels by a contraction of both."""
+def live_components(arcs: DataFrame, folder: str | None = None) -> DataFrame:
+    """(v, label) of all arcs that came: each batch joins the labels stored by the one before, by a contraction of both.
+
+    Labels lie in `folder` (a new one in the shared folder if not given) beside the stream's checkpoint, under the number of their
+    batch: a restarted stream goes on from them, and a batch that is run again writes the same table again.
+    """
     from ..algo.connectivity import hook_jump
     from ..model.graph import from_arcs
 
-    rounds = Rounds(arcs.sparkSession, "live")
-    held: dict[str, DataFrame] = {}
+    spark = arcs.sparkSession
+    rounds = Rounds(spark, "live")
+    folder = folder or rounds.root
+    labels = spark._jvm.org.apache.hadoop.fs.Path(f"{folder}/labels")
+    files = labels.getFileSystem(spark._jsc.hadoopConfiguration())
+    read = lambda number: spark.read.schema("v bigint, label bigint").parquet(f"{folder}/labels/{number}")
 
     def fold(batch: DataFrame, number: int) -> None:
         fresh = batch.select("src", "dst")
-        if held:
-            fresh = fresh.unionByName(held["labels"].select(F.col("v").alias("src"), F.col("label").alias("dst")))
+        if number:
+            fresh = fresh.unionByName(read(number - 1).select(F.col("v").alias("src"), F.col("label").alias("dst")))
         # loops keep vertices that are alone
         ends = fresh.select(F.col("src").alias("v")).unionByName(fresh.select(F.col("dst").alias("v"))).distinct()
-        held["labels"] = rounds.table(hook_jump(from_arcs(fresh, ends)))
+        hook_jump(from_arcs(fresh, ends)).select("v", "label").write.mode("overwrite").parquet(f"{folder}/labels/{number}")
+        if number > 1:
+            rounds.delete(f"{folder}/labels/{number - 2}")
 
-    query = arcs.writeStream.foreachBatch(fold).option("checkpointLocation", f"{rounds.root}/state").trigger(availableNow=True).start()
+    query = arcs.writeStream.foreachBatch(fold).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return held["labels"]
+    # a batch's number is its folder's name: two at most
+    numbers = [int(f.getPath().getName()) for f in files.listStatus(labels)] if files.exists(labels) else []
+    return read(max(numbers)) if numbers else spark.createDataFrame([], "v bigint, label bigint")

@@ -5,6 +5,10 @@ Each returns rows (dictionaries) with what the experiment compares: seconds, rou
 
 from __future__ import annotations
 
+import json
+import os
+import subprocess
+import sys
 import time
 from collections.abc import Callable
 
@@ -307,8 +311,21 @@ def approximate_cores(spark: SparkSession, d: str) -> Rows:
     return [cert.pow2(load(spark, d, "user_item")).first().asDict()]
 
 
+def ratios(one: Rows, many: Rows, cores: int) -> Rows:
+    """Seconds of the same problems on one core and on `cores`, and how many times faster the latter are."""
+    key = lambda r: (r["graph"], r["problem"])
+    fast = {key(r): r["seconds"] for r in many}
+    return [{"graph": g, "problem": p, "one_core": s, "cores": cores, "all_cores": fast[g, p], "speedup": s / fast[g, p]} for (g, p), s in ((key(r), r["seconds"]) for r in one) if (g, p) in fast]
+
+
+def on_cores(name: str, d: str, cores: int) -> Rows:
+    """The rows of an experiment from a process of its own on local[cores]: a session keeps the cores it was started with."""
+    run = subprocess.run([sys.executable, "-m", "sparkgraphs.workload", name, d], env={**os.environ, "BENCH_CPUS": str(cores)}, stdout=subprocess.PIPE, text=True, check=True)
+    return [json.loads(line) for line in run.stdout.splitlines() if line.startswith("{")]
+
+
 @workload("X26")
 def speedup(spark: SparkSession, d: str) -> Rows:
-    """Seconds of this session; run it under local[1] and local[8] and divide."""
-    g = load(spark, d, "part_copurchase")
-    return [{"cores": spark.sparkContext.defaultParallelism, **measures.timed(lambda s: substructure.triangle_count(g))}]
+    """All problems of X1 on one core and on all of this session's: two more processes, one after the other, on this machine."""
+    cores = spark.sparkContext.defaultParallelism
+    return ratios(on_cores("X1", d, 1), on_cores("X1", d, cores), cores)

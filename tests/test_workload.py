@@ -21,3 +21,9 @@ def test_a_wrong_answer_is_noticed(spark):
     g = bow_tie(spark).with_weights().layout()
     by_name = {"name": lambda h, s: h.vertices.selectExpr("v", f"'{h.name}' AS name")}
     assert not x.from_blocks(g, by_name)[0]["same"]
+
+
+def test_speedups_are_of_the_same_problem_and_graph():
+    row = lambda g, p, s: {"graph": g, "problem": p, "seconds": s}
+    found = x.ratios([row("a", "bfs", 8.0), row("b", "bfs", 3.0)], [row("b", "bfs", 1.5), row("a", "bfs", 2.0), row("a", "mis", 1.0)], 4)
+    assert [(r["graph"], r["speedup"]) for r in found] == [("a", 4.0), ("b", 2.0)]
