@@ -205,3 +205,22 @@ def test_measures(spark):
     assert run["rounds"] == 5 and run["total_frontier"] == 4
     g = micro.star(spark, 5)
     assert values(measures.live_ratio(g, g.vertices, g.vertices.where("v = 0"))) == [(8, 4, 1, 4)]
+
+
+@pytest.mark.parametrize("group,step,batch", [(1 << 21, 1 << 22, 4096), (3, 2, 2), (40, 7, 3)])
+def test_triangles_meet_in_groups(spark, monkeypatch, group, step, batch):
+    """Lists cut into many groups, a hub among them, repeated arcs and loops: against all triples; wedges are no rows of a join."""
+    from sparkgraphs.core import closing
+
+    for name, value in (("GROUP", group), ("STEP", step), ("BATCH", batch)):
+        monkeypatch.setattr(closing, name, value)
+    arcs = {(i, (i * i + 3 * j) % 40) for i in range(40) for j in range(4)} | {(0, i) for i in range(1, 40)} | {(-5, 10**15), (-5, 7), (7, 10**15)}
+    near = {v: {b for a, b in arcs if a == v} | {a for a, b in arcs if b == v} for v in {x for e in arcs for x in e}}
+    found = [(a, b, c) for a in near for b in near[a] for c in near[a] & near[b] if a < b < c]
+    packed = closing.lists(spark.createDataFrame([e for a, b in arcs for e in ((a, b), (b, a), (a, b))], "src bigint, dst bigint"))
+    assert found and (group > 100 or packed.select("grp").distinct().count() > 2)
+    for method in substructure.METHODS:
+        count = substructure.closed_count(packed, method=method)
+        assert values(count) == [(len(found),)] and "Join" not in count._jdf.queryExecution().executedPlan().toString()
+    want = sorted(((v, sum(v in t for t in found)) for v in near), key=repr)
+    assert values(substructure.closed_at(packed, packed)) == want
