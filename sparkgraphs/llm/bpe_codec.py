@@ -20,6 +20,7 @@ import struct
 import tempfile
 from collections import Counter
 from collections.abc import Iterator
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -33,22 +34,24 @@ from .token_counts import MEMO_ENTRIES, Memo, byte_symbols, merges_left
 LEXICON_WORDS = 32_768
 #: Words of up to so many bytes are merged without a heap.
 SHORT = 24
+#: The byte strings of one byte.
+ONE = [bytes([b]) for b in range(256)]
 #: The byte-level split of this vocabulary family (fixed value of the tokenizer format).
 SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 
 def merged_short(symbols: list[str], rank: dict[tuple[str, str], int]) -> list[str]:
     """The same merges as with a heap: for a short word looking for the lowest rank costs less than keeping one."""
-    none = len(rank)
-    ranks = [rank.get(p, none) for p in zip(symbols, symbols[1:])]
+    none, get = len(rank), rank.get
+    ranks = list(map(get, zip(symbols, symbols[1:]), repeat(none)))
     while ranks and (low := min(ranks)) < none:
         i = ranks.index(low)
-        symbols[i : i + 2] = [symbols[i] + symbols[i + 1]]
-        del ranks[i]
+        symbols[i] += symbols[i + 1]
+        del symbols[i + 1], ranks[i]
         if i:
-            ranks[i - 1] = rank.get((symbols[i - 1], symbols[i]), none)
+            ranks[i - 1] = get((symbols[i - 1], symbols[i]), none)
         if i < len(ranks):
-            ranks[i] = rank.get((symbols[i], symbols[i + 1]), none)
+            ranks[i] = get((symbols[i], symbols[i + 1]), none)
     return symbols
 
 
@@ -59,6 +62,7 @@ class ByteBpe:
         spec = json.load(open(path, encoding="utf-8"))
         self.vocab: dict[str, int] = spec["model"]["vocab"]
         self.rank = {(a, b): i for i, (a, b) in enumerate(m if isinstance(m, list) else m.split(" ") for m in spec["model"]["merges"])}
+        self.names = {w: str(i) for w, i in self.vocab.items()}
         self.symbols = byte_symbols()
         back = {s: b for b, s in enumerate(self.symbols)}
         self.pieces = {str(i): bytes(back[c] for c in w) for w, i in self.vocab.items() if all(c in back for c in w)}
@@ -67,9 +71,12 @@ class ByteBpe:
         self.special_split = regex.compile("(" + "|".join(map(regex.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         self.split = regex.compile(SPLIT)
 
+    def merged(self, word: bytes) -> list[str]:
+        symbols = list(map(self.symbols.__getitem__, word))
+        return merged_short(symbols, self.rank) if len(symbols) <= SHORT else merges_left(symbols, self.rank)
+
     def merge(self, word: str) -> list[int]:
-        symbols = [self.symbols[b] for b in word.encode("utf-8")]
-        return [self.vocab[s] for s in (merged_short(symbols, self.rank) if len(symbols) <= SHORT else merges_left(symbols, self.rank))]
+        return [self.vocab[s] for s in self.merged(word.encode("utf-8"))]
 
 
 def compile_lexicon(entries: dict[str, list[int]]) -> bytes:
@@ -147,12 +154,13 @@ class MappedLexicon:
 
     def ids(self, word: bytes) -> list[int] | None:
         state, number, first, labels, find = self.root, 0, self.first, self.labels, self.map.find
-        for i in range(len(word)):
-            arc = find(word[i : i + 1], labels + first[state], labels + first[state + 1]) - labels
+        outputs, targets = self.outputs, self.targets
+        for label in map(ONE.__getitem__, word):
+            arc = find(label, labels + first[state], labels + first[state + 1]) - labels
             if arc < 0:
                 return None
-            number += self.outputs[arc]
-            state = self.targets[arc]
+            number += outputs[arc]
+            state = targets[arc]
         if not self.map[self.finals + state]:
             return None
         return self.flat[self.starts[number] : self.starts[number + 1]].tolist()
@@ -167,8 +175,9 @@ class Codec:
         self.inner = Memo(lambda chunk: self._chunk(" " + chunk, chunk), entries)
 
     def _word(self, word: str) -> str:
-        ids = self.lexicon.ids(word.encode("utf-8"))
-        return ",".join(map(str, ids if ids is not None else self.bpe.merge(word)))
+        data = word.encode("utf-8")
+        ids = self.lexicon.ids(data)
+        return ",".join(map(str, ids) if ids is not None else map(self.bpe.names.__getitem__, self.bpe.merged(data)))
 
     def _whole(self, text: str) -> str:
         return ",".join(map(self.words.__getitem__, self.bpe.split.findall(text)))
