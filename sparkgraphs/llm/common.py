@@ -15,6 +15,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..core.rounds import release  # noqa: F401
+
 TOKENIZER_ROWS = 512
 
 
@@ -57,12 +59,6 @@ class Stages:
         path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
-def release(spark: SparkSession) -> None:
-    """Lets Spark drop the shuffle files of jobs that are done and no longer referred to, instead of at some later collection."""
-    gc.collect()
-    spark._jvm.System.gc()
-
-
 def held_out(doc_id: Column) -> Column:
     return F.crc32(doc_id.cast("string")) % 4 == 2
 
