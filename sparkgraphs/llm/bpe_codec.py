@@ -4,6 +4,7 @@ A pass over the whole corpus counts white-space chunks (lossy per task: a task d
 which can only keep a word out of the lexicon). The frequent words are compiled on the driver, with the ids that exact merging
 gives them, into a minimal acyclic automaton whose arcs carry integer outputs: their sum along a word is the word's number, which
 addresses its ids. Workers memory-map the automaton; words outside it are merged exactly. Results never depend on the lexicon.
+The new words of a run of texts take each step of the automaton, and each merge, together.
 
 Defined cases: null and empty texts encode to no ids and decode to the empty text; texts of any length are encoded whole; special
 strings inside texts become their special ids; repeated rows are encoded row by row; empty tables give empty results; extra
@@ -20,7 +21,8 @@ import struct
 import tempfile
 from collections import Counter
 from collections.abc import Iterator
-from itertools import repeat
+from functools import lru_cache
+from itertools import chain, filterfalse, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -29,11 +31,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import bounded_batches, map_arrow, table
-from .token_counts import MEMO_ENTRIES, Memo, byte_symbols, merges_left
+from .token_counts import MEMO_ENTRIES, byte_symbols, merges_left
 
 LEXICON_WORDS = 32_768
 #: Words of up to so many bytes are merged without a heap.
 SHORT = 24
+#: About so many chunks are looked at before their new words are merged together.
+RUN = 1 << 16
+#: Letters below are the same in every version of Unicode.
+LATIN_END = "\u0250"
 #: The byte strings of one byte.
 ONE = [bytes([b]) for b in range(256)]
 #: The byte-level split of this vocabulary family (fixed value of the tokenizer format).
@@ -70,6 +76,55 @@ class ByteBpe:
         self.pieces |= {str(i): s.encode() for s, i in self.special.items()}
         self.special_split = regex.compile("(" + "|".join(map(regex.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         self.split = regex.compile(SPLIT)
+        self.of_byte = np.array([self.vocab[s] for s in self.symbols])
+        self.texts = {i: t for i, t in zip(self.vocab.values(), self.names.values(), strict=True)}
+        pairs = np.array([self._pair(self.vocab[a], self.vocab[b]) for a, b in self.rank], np.int64)
+        #: Sorted pairs with the rank of each, and by rank the id that a pair becomes.
+        self.order = np.argsort(pairs)
+        self.pairs = pairs[self.order]
+        self.made = np.array([self.vocab[a + b] for a, b in self.rank], np.int64)
+        self.first_ranks = self._ranks(self.of_byte[:, None], self.of_byte[None, :])
+
+    @staticmethod
+    def _pair(left, right):
+        return left << 32 | right
+
+    def _ranks(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """The rank of each pair of ids, or the number of ranks for those that do not merge."""
+        none, pair = len(self.made), self._pair(left, right)
+        if not none:
+            return np.zeros(pair.shape, np.int64)
+        at = np.minimum(np.searchsorted(self.pairs, pair), none - 1)
+        return np.where(self.pairs[at] == pair, self.order[at], none)
+
+    def merged_together(self, data: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Words as numbers of places in `starts`, with their ids as a row of a matrix: all words of a number of symbols take one merge at a time.
+
+        Word i is `data[starts[i] : starts[i] + sizes[i]]`. A word with a merge left has one symbol less after it, so it goes on with
+        the words of that length; the others are done.
+        """
+        none = len(self.made)
+        words, ids, ranks = np.zeros(0, np.int64), np.zeros((0, 0), np.int64), np.zeros((0, 0), np.int64)
+        for size in range(int(sizes.max(initial=0)), 0, -1):
+            new = np.flatnonzero(sizes == size)
+            raw = data[starts[new][:, None] + np.arange(size)]
+            words = np.concatenate([words, new])
+            ids = np.concatenate([ids.reshape(len(ids), size), self.of_byte[raw]])
+            ranks = np.concatenate([ranks.reshape(len(ranks), size - 1), self.first_ranks[raw[:, :-1], raw[:, 1:]]])
+            if size == 1:
+                yield words, ids
+                return
+            at = ranks.argmin(axis=1)
+            low = ranks[np.arange(len(words)), at]
+            open_ = low < none
+            yield words[~open_], ids[~open_]
+            words, ids, ranks, at, low = words[open_], ids[open_], ranks[open_], at[open_], low[open_]
+            rows = np.arange(len(words))
+            ids[rows, at] = self.made[low]
+            ids = ids[np.arange(size) != at[:, None] + 1].reshape(len(words), size - 1)
+            ranks = ranks[np.arange(size - 1) != at[:, None]].reshape(len(words), size - 2)
+            for near, side in ((rows[at > 0], at[at > 0] - 1), (rows[at < size - 2], at[at < size - 2])):
+                ranks[near, side] = self._ranks(ids[near, side], ids[near, side + 1])
 
     def merged(self, word: bytes) -> list[str]:
         symbols = list(map(self.symbols.__getitem__, word))
@@ -79,6 +134,12 @@ class ByteBpe:
         return [self.vocab[s] for s in self.merged(word.encode("utf-8"))]
 
 
+@lru_cache(maxsize=1)
+def byte_bpe(path: str) -> ByteBpe:
+    """The vocabulary of `path`, read once by a worker that runs many tasks."""
+    return ByteBpe(path)
+
+
 def compile_lexicon(entries: dict[str, list[int]]) -> bytes:
     """The minimal acyclic transducer of `entries`, laid out for memory mapping.
 
@@ -151,6 +212,10 @@ class MappedLexicon:
             at += 4 * n
         self.first, self.targets, self.outputs, self.starts, self.flat = parts
         self.finals, self.labels, self.n_states, self.n_words = at, at + n_states, n_states, n_starts - 1
+        #: For steps of many words together: arcs in order of source and label, as they are laid out.
+        self.arcs = np.repeat(np.arange(n_states) << 8, np.diff(np.asarray(self.first))) | np.frombuffer(self.map, np.uint8, n_arcs, self.labels)
+        self.arc_targets, self.arc_outputs = np.asarray(self.targets), np.asarray(self.outputs)
+        self.final = np.frombuffer(self.map, np.uint8, n_states, self.finals)
 
     def ids(self, word: bytes) -> list[int] | None:
         state, number, first, labels, find = self.root, 0, self.first, self.labels, self.map.find
@@ -165,48 +230,126 @@ class MappedLexicon:
             return None
         return self.flat[self.starts[number] : self.starts[number + 1]].tolist()
 
+    def numbers(self, data: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+        """The number of each word `data[starts[i] : starts[i] + sizes[i]]`, or -1: all words take a step of the automaton together."""
+        number = np.full(len(starts), -1, np.int64)
+        live, state, sums, step = np.arange(len(starts)), np.full(len(starts), self.root), np.zeros(len(starts), np.int64), 0
+        while live.size:
+            ended = sizes[live] == step
+            done = ended & (self.final[state] > 0)
+            number[live[done]] = sums[done]
+            live, state, sums = live[~ended], state[~ended], sums[~ended]
+            key = state << 8 | data[starts[live] + step]
+            arc = np.searchsorted(self.arcs, key)
+            found = np.flatnonzero(arc < len(self.arcs))
+            found = found[self.arcs[arc[found]] == key[found]]
+            arc = arc[found]
+            live, state, sums, step = live[found], self.arc_targets[arc].astype(np.int64), sums[found] + self.arc_outputs[arc], step + 1
+        return number
+
+
+def one_word(chunk: str) -> bool:
+    """Whether a chunk is letters alone, so that no split is needed; letters of later blocks are left to the split."""
+    return chunk.isalpha() and (chunk.isascii() or max(chunk) < LATIN_END)
+
 
 class Codec:
     """Encodes to decimal ids joined by commas, and decodes them."""
 
     def __init__(self, path: str, lexicon: bytes, entries: int = MEMO_ENTRIES):
-        self.bpe, self.lexicon = ByteBpe(path), MappedLexicon(lexicon)
-        self.words = Memo(self._word, entries)
-        self.inner = Memo(lambda chunk: self._chunk(" " + chunk, chunk), entries)
-
-    def _word(self, word: str) -> str:
-        data = word.encode("utf-8")
-        ids = self.lexicon.ids(data)
-        return ",".join(map(str, ids) if ids is not None else map(self.bpe.names.__getitem__, self.bpe.merged(data)))
-
-    def _whole(self, text: str) -> str:
-        return ",".join(map(self.words.__getitem__, self.bpe.split.findall(text)))
-
-    def _chunk(self, whole: str, chunk: str) -> str:
-        """A chunk that starts or ends with white space, or is empty, is not cut off rightly at its blank: ValueError."""
-        if not chunk or chunk[0].isspace() or chunk[-1].isspace():
-            raise ValueError
-        return self._whole(whole)
-
-    def _plain(self, text: str) -> str:
+        self.bpe, self.lexicon, self.entries = byte_bpe(path), MappedLexicon(lexicon), entries
+        self.words: dict[str, str] = {}
+        self.inner: dict[str, str] = {}
+        self.special = {s: str(i) for s, i in self.bpe.special.items()}
+
+    def _merged(self, words: list[str]) -> list[str]:
+        """The ids of each word, from the lexicon or by merging."""
+        raw = [w.encode("utf-8") for w in words]
+        sizes = np.fromiter(map(len, raw), np.int64, len(raw))
+        data, starts = np.frombuffer(b"".join(raw), np.uint8), np.cumsum(sizes) - sizes
+        out = [""] * len(words)
+        numbers = self.lexicon.numbers(data, starts, sizes)
+        for i in np.flatnonzero(numbers >= 0).tolist():
+            n = int(numbers[i])
+            out[i] = ",".join(map(str, self.lexicon.flat[self.lexicon.starts[n] : self.lexicon.starts[n + 1]].tolist()))
+        for i in np.flatnonzero((numbers < 0) & (sizes > SHORT)).tolist():
+            out[i] = ",".join(map(self.bpe.names.__getitem__, self.bpe.merged(raw[i])))
+        left = np.flatnonzero((numbers < 0) & (sizes <= SHORT))
+        text = self.bpe.texts.__getitem__
+        for places, ids in self.bpe.merged_together(data, starts[left], sizes[left]):
+            for i, row in zip(left[places].tolist(), ids.tolist(), strict=True):
+                out[i] = ",".join(map(text, row))
+        return out
+
+    def _cut(self, text: str) -> Iterator[tuple[dict[str, str], list[str]]]:
+        """The text as words, then chunks after a blank.
+
+        Blanks between two non-blank characters always start a word, so chunks between them are encoded on their own. If a chunk
+        starts or ends with white space, or is empty, it is not cut off rightly at its blank: all are words then.
+        """
         if not text:
-            return ""
+            return
         head, *rest = text.split(" ")
-        try:
-            if rest:
-                return ",".join([self._chunk(head, head), *map(self.inner.__getitem__, rest)])
-        except ValueError:
-            pass
-        return self._whole(text)
+        new = [head, *filterfalse(self.inner.__contains__, rest)]
+        if rest and all(new) and new == list(map(str.strip, new)):
+            yield self.words, self.bpe.split.findall(head)
+            yield self.inner, rest
+        else:
+            yield self.words, self.bpe.split.findall(text)
+
+    def _pieces(self, text: str) -> Iterator[tuple[dict[str, str], list[str]]]:
+        if self.bpe.special_split and any(s in text for s in self.bpe.special):
+            for i, part in enumerate(self.bpe.special_split.split(text)):
+                if i % 2:
+                    yield self.special, [part]
+                else:
+                    yield from self._cut(part)
+        else:
+            yield from self._cut(text)
+
+    def _learn(self, held: list[tuple[int, dict[str, str], list[str]]]) -> None:
+        """Puts into the memos what they lack; they start anew when full."""
+        for memo in (self.words, self.inner):
+            if len(memo) >= self.entries:
+                memo.clear()
+        new: dict[int, set[str]] = {id(self.words): set(), id(self.inner): set(), id(self.special): set()}
+        for _, memo, keys in held:
+            new[id(memo)].update(filterfalse(memo.__contains__, keys))
+        chunks = new[id(self.inner)]
+        whole = [c for c in chunks if one_word(c)]
+        chunks.difference_update(whole)
+        mixed, blanked = list(chunks), [" " + c for c in whole]
+        cut = [self.bpe.split.findall(" " + c) for c in mixed]
+        words = list(new[id(self.words)].union(filterfalse(self.words.__contains__, chain(blanked, *cut))))
+        self.words.update(zip(words, self._merged(words), strict=True))
+        text = self.words.__getitem__
+        self.inner.update(zip(whole, map(text, blanked), strict=True))
+        self.inner.update((c, ",".join(map(text, found))) for c, found in zip(mixed, cut, strict=True))
+
+    def encode_all(self, texts: list[str | None]) -> list[str]:
+        out: list[list[str]] = [[] for _ in texts]
+        held: list[tuple[int, dict[str, str], list[str]]] = []
+        size = 0
+
+        def flush() -> None:
+            self._learn(held)
+            for place, memo, keys in held:
+                out[place].append(",".join(map(memo.__getitem__, keys)))
+            held.clear()
+
+        for place, text in enumerate(texts):
+            for memo, keys in self._pieces(text or ""):
+                for at in range(0, len(keys), RUN):  # a very long text is learnt by runs too
+                    held.append((place, memo, keys[at : at + RUN]))
+                    size += len(held[-1][2])
+                    if size >= RUN:
+                        flush()
+                        size = 0
+        flush()
+        return list(map(",".join, out))
 
     def encode(self, text: str | None) -> str:
-        """Blanks between two non-blank characters always start a word, so chunks between them are encoded on their own."""
-        if not text:
-            return ""
-        if self.bpe.special_split and any(s in text for s in self.bpe.special):
-            parts = self.bpe.special_split.split(text)
-            return ",".join(x for i, p in enumerate(parts) if (x := str(self.bpe.special[p]) if i % 2 else self._plain(p)))
-        return self._plain(text)
+        return self.encode_all([text])[0]
 
     def decode(self, ids: str) -> str:
         return b"".join(map(self.bpe.pieces.__getitem__, ids.split(","))).decode("utf-8", "replace") if ids else ""
@@ -239,7 +382,7 @@ def frequent_words(docs: DataFrame, *, text: str = "text", words: int = LEXICON_
 
 
 def build_lexicon(words: list[str], tokenizer: str) -> bytes:
-    bpe = ByteBpe(tokenizer)
+    bpe = byte_bpe(tokenizer)
     return compile_lexicon({w: bpe.merge(w) for w in words})
 
 
@@ -252,7 +395,7 @@ def encode_decode(docs: DataFrame, tokenizer: str, *, text: str = "text", lexico
     def body(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = Codec(tokenizer, blob.value, entries)
         for b in batches:
-            ids = [codec.encode(t) for t in b.column(text).to_pylist()]
+            ids = codec.encode_all(b.column(text).to_pylist())
             back = map(codec.decode, ids)
             if digests:
                 new = {
